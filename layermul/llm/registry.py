@@ -9,14 +9,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 #: query name -> module, oracle function or None where SQL cannot express it
 OPERATORS = {
-    "op1_decontaminate": ("decontaminate", "op1_oracle"),
+    "op1_decontaminate": ("decontaminate", None),
     "op2_url_filter": ("url_filter", None),
     "op3_license_scan": ("license_scan", None),
     "op4_sharding": ("sharding", None),
-    "op5_mixing": ("mixing", "op5_oracle"),
+    "op5_mixing": ("mixing", None),
     "op6_pii": ("pii", None),
     "op7_secret_scan": ("secret_scan", "op7_oracle"),
-    "op8_ngram_join": ("ngram_join", "op8_oracle"),
+    "op8_ngram_join": ("ngram_join", None),
     "op9_quality": ("quality", None),
     "op10_fingerprint": ("fingerprint", None),
 }
