@@ -156,3 +156,16 @@ def small_batches(batches: Iterator[pa.RecordBatch], column: str, most: int = 8
             j = max(i + 1, int(np.searchsorted(size, size[i] + most, "right")) - 1)
             yield batch.slice(i, j - i)
             i = j
+
+
+def grams(words: np.ndarray, bounds: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all runs of `length` words, equal to what shingles() gives a whole text of that many
+    words, and the text of each."""
+    first = np.arange(max(len(words) - length + 1, 0))
+    text = np.searchsorted(bounds, first, "right") - 1
+    inside = first + length <= bounds[text + 1] if len(first) else np.empty(0, bool)
+    first, text = first[inside], text[inside]
+    rolled = np.zeros(len(first), _U)
+    for j in range(length):
+        rolled += words[first + j] * _U(pow(_NEXT, j + 7 * length, 2**64))
+    return mix(rolled), text
