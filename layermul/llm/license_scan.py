@@ -12,6 +12,7 @@ gives an empty result; repeated rows each get their own result row; extra column
 from __future__ import annotations
 
 import json
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -112,7 +113,11 @@ def rules() -> list[dict]:
     """All signature rules in order: id, label, priority 1 to 5, keyword, regex over lower-cased text."""
     out = [(label, 5, word, rx) for label, word, rx in CLAUSES]
     out += [(tag, 5, "spdx-license-identifier", r"spdx-license-identifier:\s*" + tag.replace(".", r"\.") + r"(?:-only|-or-later|\+)?(?![a-z0-9.-])") for tag in TAGS]
-    out += [(label, p, word, t.format(rx.replace("(?: license)?", " license") if p == 1 and label in _ALSO_WORDS else rx)) for p, t in _TEMPLATES for label, word, rx in NAMES]
+    for p, t in _TEMPLATES:
+        for label, word, rx in NAMES:
+            if label in _ALSO_WORDS:
+                word, rx = (" under" if p > 2 else "licen"), (rx.replace("(?: license)?", " license") if p == 1 else rx)
+            out.append((label, p, word, t.format(rx)))
     return [dict(id=i, label=label, prio=p, word=w, rx=rx) for i, (label, p, w, rx) in enumerate(out)]
 
 
@@ -148,12 +153,14 @@ def scan_licenses(docs: DataFrame, rule_list: list[dict] | None = None) -> DataF
     """One row per document: doc_id, n_words, base (array of phrase, n, first, last over the word
     sequence) and detections (array of start, end, priority, label in code points of the text)."""
     rule_list = rules() if rule_list is None else rule_list
-    gate = "(?i)" + "|".join(sorted({r["word"] for r in rule_list if r["word"] not in ("cc", "mit", "isc")} | {r"\bcc[ -]by", r"\bmit\b", r"\bisc\b"}))
-    phrase_gate = "(?i)" + "|".join(_GAP.join(p.split()) for p in PHRASES)
-    d = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
+    words = sorted({r["word"] for r in rule_list} - {"cc"}) + ["cc by", "cc-by"]
+    lower = F.col("lower")  # for gates only: it may differ from the text's A-Z lower-casing in other letters
+    gate = reduce(lambda a, b: a | b, [lower.contains(w) for w in words])
+    phrase_gate = lower.contains("general") | lower.contains("reserved") | (lower.contains("cc") & lower.rlike(_GAP.join(["cc", "by"])))
+    d = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("lower", F.lower("text"))
     d = d.select("doc_id", F.regexp_count("text", F.lit(_RAW_WORD)).cast("long").alias("n_words"),
-                 F.when(F.col("text").rlike(phrase_gate), F.concat(F.lit(" "), F.array_join(F.regexp_extract_all(ascii_lower(F.col("text")), F.lit(WORD), F.lit(0)), " "), F.lit(" "))).alias("w"),
-                 F.when(F.col("text").rlike(gate), ascii_lower(F.col("text"))).alias("t"))
+                 F.when(phrase_gate, F.concat(F.lit(" "), F.array_join(F.regexp_extract_all(ascii_lower(F.col("text")), F.lit(WORD), F.lit(0)), " "), F.lit(" "))).alias("w"),
+                 F.when(gate, ascii_lower(F.col("text"))).alias("t"))
     base = []
     for phrase in PHRASES:
         n = len(phrase.split())
