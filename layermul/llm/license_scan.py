@@ -126,8 +126,9 @@ def _detections(rule_list: list[dict]) -> tuple[Column, Column]:
     priority and the first rule."""
     words = sorted({r["word"] for r in rule_list})
     held = F.filter(F.array(*map(F.lit, words)), lambda w: F.expr("t").contains(w))
-    known = F.from_json(F.lit(json.dumps(rule_list)), "array<struct<id:int,label:string,prio:int,word:string,rx:string>>")
-    hits = F.filter(F.filter(known, lambda r: F.array_contains(held, r["word"])), lambda r: F.rlike(F.col("t"), r["rx"]))
+    by_word = json.dumps({w: [r for r in rule_list if r["word"] == w] for w in words})
+    known = F.from_json(F.lit(by_word), "map<string,array<struct<id:int,label:string,prio:int,word:string,rx:string>>>")
+    hits = F.filter(F.flatten(F.transform(held, lambda w: F.element_at(known, w))), lambda r: F.rlike(F.col("t"), r["rx"]))
     starts = """flatten(transform({hits}, r -> aggregate(
         zip_with(regexp_extract_all(t, r.rx, 0), slice(split(t, r.rx, -1), 1, size(regexp_extract_all(t, r.rx, 0))),
                  (m, s) -> named_struct('m', m, 's', s)),
