@@ -25,8 +25,9 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
-from .scratch import fresh_path, table
+from .scratch import broadcast_if_small, fresh_path, table
 
 
 @dataclass(frozen=True)
@@ -156,7 +157,7 @@ class ShardStore:
             self.compact()
         return self.manifest()["version"]
 
-    def read(self, version: int | None = None, schema=None) -> DataFrame:
+    def read(self, version: int | None = None, schema: StructType | None = None) -> DataFrame:
         shards = self.manifest(version)["shards"]
         if not shards:
             return self.spark.createDataFrame([], schema)
@@ -191,12 +192,19 @@ def sharded(docs: DataFrame, config: ShardConfig = ShardConfig(), arrivals=ARRIV
     return store
 
 
+def shard_of_rows(store: ShardStore, schema: StructType, columns: list[str]) -> DataFrame:
+    """columns of every row with shard, shard_bytes, tier and version, which take the place of columns
+    of the same names."""
+    now = store.manifest()
+    listed = [(i, s["file"].split("/")[-1], s["bytes"], store.tier(s["bytes"]), now["version"]) for i, s in enumerate(sorted(now["shards"], key=lambda s: s["file"]))]
+    names = store.spark.createDataFrame(listed, "shard long, file string, shard_bytes long, tier int, version long")
+    told = ["shard", "shard_bytes", "tier", "version"]
+    rows = store.read(schema=schema).select(F.col("_metadata.file_name").alias("file"), F.struct(*[c for c in columns if c not in told]).alias("row"))
+    return rows.join(broadcast_if_small(names, len(listed)), "file").select("row.*", *told)
+
+
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Where every document lies: doc_id, shard (numbered from the first file name), its bytes, tier
     and the committed version."""
-    store = sharded(table(spark, sf_dir, "documents"))
-    now = store.manifest()
-    listed = [(i, s["file"].split("/")[-1], s["bytes"], store.tier(s["bytes"]), now["version"]) for i, s in enumerate(sorted(now["shards"], key=lambda s: s["file"]))]
-    names = spark.createDataFrame(listed, "shard long, file string, shard_bytes long, tier int, version long")
-    rows = store.read(schema=table(spark, sf_dir, "documents").schema).select("doc_id", F.col("_metadata.file_name").alias("file"))
-    return rows.join(names, "file").select("doc_id", "shard", "shard_bytes", "tier", "version")
+    docs = table(spark, sf_dir, "documents")
+    return shard_of_rows(sharded(docs), docs.schema, ["doc_id"])
