@@ -2,37 +2,28 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from layermul.session import fresh_path
+
 #: Rows of a narrow side that may be broadcast; larger sides are joined by shuffle.
 BROADCAST_ROWS = 1_000_000
+#: Bytes of rows that Spark hands to a Python worker at once.
+ARROW_BYTES = 8 << 20
 
 
-def shared_root(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; a new temporary one only where it is unset (tests)."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        held = spark.sparkContext.getConf().get("layermul.scratch", None) or getattr(spark, "_layermul_scratch", None)
-        root = held or tempfile.mkdtemp(prefix="layermul-")
-        spark._layermul_scratch = root
-    return root.rstrip("/")
-
-
-def fresh_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_root(spark)}/layermul/{name}-{uuid.uuid4().hex}"
+def bound_arrow(spark: SparkSession) -> None:
+    """Batches for Python are bounded by bytes, however long the texts are (a run-time setting)."""
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", ARROW_BYTES)
 
 
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write df once to the shared folder and return a reader of it: later plans start from files
     that survive lost executors. Void columns are not allowed in Parquet and must be cast before."""
-    spark = df.sparkSession
-    path = fresh_path(spark, name)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    path = fresh_path(df.sparkSession, name)
+    df.write.option("compression", "zstd").parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 def broadcast_if_small(df: DataFrame, rows: int, bound: int = BROADCAST_ROWS) -> DataFrame:

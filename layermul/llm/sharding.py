@@ -110,7 +110,7 @@ class ShardStore:
     def append(self, rows: DataFrame) -> int:
         """The rows as immutable shards, one for each of the input's partitions; the new version."""
         folder = f"shards/{uuid.uuid4().hex}"
-        rows.write.parquet(f"{self.path}/{folder}")
+        rows.write.option("compression", "zstd").parquet(f"{self.path}/{folder}")
         return self._swap(set(), self._written(folder))
 
     def tier(self, size: int) -> int:
@@ -145,7 +145,7 @@ class ShardStore:
             shards = max(1, round(total / self.config.target))
             packed.conf.set("spark.sql.files.maxPartitionBytes", max(-(-total // shards), max(s["bytes"] for s in run)))
             folder = f"shards/{uuid.uuid4().hex}"
-            packed.read.parquet(*self._files(run)).write.parquet(f"{self.path}/{folder}")
+            packed.read.parquet(*self._files(run)).write.option("compression", "zstd").parquet(f"{self.path}/{folder}")
             new += self._written(folder)
         return self._swap({s["file"] for run in due for s in run}, new)
 
