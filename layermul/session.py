@@ -2,15 +2,27 @@
 
 from __future__ import annotations
 
+import os
 import tempfile
 import uuid
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
 
+def reach_workers(spark: SparkSession) -> None:
+    """Python workers that share this machine's folders find the package where the driver found it;
+    on a cluster it is installed or shipped as usual."""
+    root = str(Path(__file__).resolve().parent.parent)
+    env = spark.sparkContext.environment
+    if root not in env.get("PYTHONPATH", "").split(os.pathsep):
+        env["PYTHONPATH"] = os.pathsep.join(filter(None, [env.get("PYTHONPATH", ""), root]))
+
+
 def configure(spark: SparkSession) -> SparkSession:
     """Let a join and an aggregate reuse a partitioning on some of their keys: the grid plans are
     dealt out by cell once and joined and combined inside the cells."""
+    reach_workers(spark)
     spark.conf.set("spark.sql.requireAllClusterKeysForCoPartition", "false")
     return spark
 
