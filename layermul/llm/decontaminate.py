@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .scratch import materialize, table
+from .scratch import bound_arrow, materialize, table
 from .textscan import ALNUM, find_words, grams, hash_words, shingles, small_batches, text_bytes
 
 RESULT = "doc_id long, item_id long, n_item long, n_shared long"
@@ -63,6 +63,7 @@ def _item_sets(config: ContainmentConfig):
 
 
 def item_sets(items: DataFrame, config: ContainmentConfig) -> DataFrame:
+    bound_arrow(items.sparkSession)
     rows = items.select(F.col("item_id").cast("long"), "text").mapInArrow(_item_sets(config), "item_id long, length long, hashes binary")
     return materialize(rows.where("length > 0"), "items")
 

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .scratch import table
+from .scratch import bound_arrow, table
 from .textscan import mix, small_batches
 
 #: Names of phrases of about three to the power of this many bytes enter the sketch.
@@ -173,6 +173,7 @@ _RESULT = "doc_id long, n_chars long, edited_sha256 string, fingerprint string,
 def fingerprints_with_next(docs: DataFrame, rows_per_block: int = 2048, lowest: int = LOWEST, places: int = PLACES) -> DataFrame:
     """docs: doc_id, text. Documents lie in blocks of consecutive doc_id; the first row of a block is
     also dealt to the block before, so each block knows its successor without a global window."""
+    bound_arrow(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long"), F.coalesce("text", F.lit("")).alias("text"))
     facts = rows.agg(F.count(F.lit(1)).alias("n"), F.min(F.coalesce("doc_id", F.lit(-(2**63)))).alias("lo")).first()
     if not facts["n"]:

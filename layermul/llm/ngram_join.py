@@ -4,14 +4,16 @@ A document is its set of distinct 5-word shingles. Two link when 100 * |intersec
 |union|. Any two that link share a shingle among the first n - ceil(n * percent / 100) + 1 of each
 in one common order, the prefix. The order puts frequent shingles last, so that prefixes rarely meet
 by common passages. Documents with the same prefix and size form a group; groups meet by shared
-prefix shingles, pass size and position filters, and are expanded to their distinct members, which
+prefix shingles, pass size and position filters (which know that a prefix shingle of one group alone
+is shared with none), and are expanded to their distinct members, which
 pass a bitmap filter (a parity bitmap differs in no more places than the sets do) and are verified
 on their whole sets.
 
-Not all pairs are expanded. First each member is verified against one partner (the least group of
-some shared shingle, or the least member of its own group); then only pairs from different
-components, found by joining the distinct components of each shingle, are verified. So a group of
-copies costs its size, not the square, and no link between components is lost.
+Not all pairs are expanded. First each member is verified against the nearest of a few partners (its
+neighbours at its prefix shingles, the first member of its own group), in rounds while many pairs
+lie across components; then all pairs from different components, found by joining the distinct
+components of each shingle, are verified. So a group of copies costs its size, not the square, and
+no link between components is lost.
 
 Which shingles are frequent only changes the speed: any order gives the same result.
 
@@ -32,73 +34,87 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .components import components
-from .scratch import broadcast_if_small, materialize, table
+from .scratch import bound_arrow, broadcast_if_small, materialize, table
 from .textscan import SPACED, mix, small_batches, text_shingles
 
 
 @dataclass(frozen=True)
 class JoinConfig:
     """percent: least Jaccard similarity; words: of a shingle. The rest only steers speed: shingles
-    seen frequent_least times in more than seldom_least texts of one batch are put last in the
-    order, frequent_most of them at most."""
+    seen at least frequent_least times are put last in the order, the frequent_most most frequent at
+    most; rounds: of cheap links before all pairs across components are tried, done while these are
+    more than `crowded` a shingle."""
 
     percent: int = 80
     words: int = 5
-    seldom_least: int = 3
-    frequent_least: int = 40
-    frequent_most: int = 500_000
+    frequent_least: int = 8
+    frequent_most: int = 2_000_000
+    rounds: int = 1
+    crowded: int = 100
 
 
-def _count_local(config: JoinConfig):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, size = [], 0
-
-        def counted() -> pa.RecordBatch:
-            hashes, n = np.unique(np.concatenate(held), return_counts=True)
-            often = n >= config.seldom_least
-            return pa.RecordBatch.from_arrays([pa.array(hashes[often].view(np.int64)), pa.array(n[often])], ["token", "n"])
+def _deal_marks(config: JoinConfig, bits: int):
+    """(part, marks): the shingles' leading 32 + bits bits; the first `bits` are the part, the others
+    stand as sorted 4-byte numbers, with repeats."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in small_batches(batches, "text"):
             s, _ = text_shingles(batch.column(0), SPACED, config.words)
-            held.append(s)
-            size += len(s)
-            if size > 4 << 20:
-                yield counted()
-                held, size = [], 0
-        if held:
-            yield counted()
+            lead = np.sort(s >> np.uint64(32 - bits))
+            at = np.searchsorted(lead, np.arange((1 << bits) + 1, dtype=np.uint64) << np.uint64(32))
+            low = lead.astype(np.uint32)  # the last 32 of the leading bits
+            full = np.flatnonzero(np.diff(at))
+            yield pa.RecordBatch.from_arrays([pa.array(full, pa.int64()), pa.array([low[at[p] : at[p + 1]].tobytes() for p in full], pa.binary())], ["part", "marks"])
 
     return run
 
 
-def frequent_shingles(docs: DataFrame, config: JoinConfig = JoinConfig()) -> np.ndarray:
-    """Sorted hashes of frequent shingles. All texts are counted, in batches; the number kept is
+def _count_marks(config: JoinConfig):
+    def run(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [np.frombuffer(b.as_buffer(), np.uint32) for batch in batches for b in batch.column(1)]
+        marks, n = np.unique(np.concatenate(held), return_counts=True)
+        often = n >= config.frequent_least
+        yield pa.RecordBatch.from_arrays([pa.array((marks[often].astype(np.int64)) + (key[0].as_py() << 32)), pa.array(n[often])], ["mark", "n"])
+
+    return run
+
+
+def frequent_shingles(docs: DataFrame, config: JoinConfig = JoinConfig()) -> tuple[np.ndarray, int]:
+    """Sorted marks (leading bits) of frequent shingles, and the number of leading bits. All shingles
+    of all texts are counted, in parts of about four million; how many frequent ones are kept is
     bounded by frequent_most, because every worker holds them."""
-    local = docs.select("text").mapInArrow(_count_local(config), "token long, n long")
-    often = local.groupBy("token").agg(F.sum("n").alias("n")).where(F.col("n") >= config.frequent_least)
-    top = often.orderBy(F.desc("n"), "token").limit(config.frequent_most).select("token").toArrow()
-    return np.sort(top.column(0).to_numpy().view(np.uint64)) if top.num_rows else np.empty(0, np.uint64)
+    size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    bits = min(24, max(5, (size // 6 // (4 << 20)).bit_length()))
+    parts = docs.select("text").mapInArrow(_deal_marks(config, bits), "part long, marks binary")
+    often = parts.groupBy("part").applyInArrow(_count_marks(config), "mark long, n long")
+    top = often.orderBy(F.desc("n"), "mark").limit(config.frequent_most).select("mark").toArrow()
+    return (np.sort(top.column(0).to_numpy().astype(np.uint64)) if top.num_rows else np.empty(0, np.uint64)), 32 + bits
+
+
+#: 64-bit numbers of the short parity bitmap.
+_FOLDS = 8
 
 
 def _signed(x: np.ndarray) -> int:
     return int(x.astype(np.uint64).view(np.int64))
 
 
-def _describe(config: JoinConfig, frequent: np.ndarray):
-    """doc_id, n, two sums that stand for the set, prefix key, prefix and bitmap."""
+def _describe(config: JoinConfig, frequent: np.ndarray, lead: int):
+    """doc_id, n, two sums that stand for the set, prefix key, prefix, bitmap of the set's size, and a
+    short bitmap of one size for all."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in small_batches(batches, "text"):
             s, at = text_shingles(batch.column(1), SPACED, config.words)
-            n, fp1, fp2, pk, prefix, bits = [], [], [], [], [], []
+            n, fp1, fp2, pk, prefix, bits, fold = [], [], [], [], [], [], []
             for d in range(batch.num_rows):
                 u = np.unique(s[at[d] : at[d + 1]])
                 n.append(len(u))
                 fp1.append(_signed(mix(u).sum(dtype=np.uint64)))
                 fp2.append(_signed(mix(u ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64)))
                 if len(frequent) and len(u):
-                    place = np.searchsorted(frequent, u)
-                    last = frequent[np.minimum(place, len(frequent) - 1)] == u
+                    mark = u >> np.uint64(64 - lead)
+                    last = frequent[np.minimum(np.searchsorted(frequent, mark), len(frequent) - 1)] == mark
                     u = np.concatenate([u[~last], u[last]]) if last.any() else u
                 p = u[: len(u) - -(-len(u) * config.percent // 100) + 1] if len(u) else u
                 pk.append(_signed(mix(p + np.uint64(0x2545F4914F6CDD1D)).sum(dtype=np.uint64)))
@@ -106,8 +122,11 @@ def _describe(config: JoinConfig, frequent: np.ndarray):
                 width = max(64, 1 << (2 * max(len(u), 1) - 1).bit_length())
                 parity = np.bincount((u & np.uint64(width - 1)).astype(np.int64), minlength=width) & 1
                 bits.append(np.packbits(parity.astype(np.uint8), bitorder="little").tobytes())
+                parity = np.bincount((u & np.uint64(64 * _FOLDS - 1)).astype(np.int64), minlength=64 * _FOLDS) & 1
+                fold.append(np.packbits(parity.astype(np.uint8), bitorder="little").view(np.int64))
             cols = [batch.column(0), pa.array(n, pa.int64()), pa.array(fp1, pa.int64()), pa.array(fp2, pa.int64()), pa.array(pk, pa.int64()), pa.array(prefix, pa.binary()), pa.array(bits, pa.binary())]
-            yield pa.RecordBatch.from_arrays(cols, ["doc_id", "n", "fp1", "fp2", "pk", "prefix", "bits"])
+            folds = np.array(fold).reshape(len(fold), _FOLDS)
+            yield pa.RecordBatch.from_arrays([*cols, *(pa.array(folds[:, k]) for k in range(_FOLDS))], ["doc_id", "n", "fp1", "fp2", "pk", "prefix", "bits", *(f"f{k}" for k in range(_FOLDS))])
 
     return run
 
@@ -172,20 +191,20 @@ def _exact_pass(config: JoinConfig):
     return run
 
 
-def _may_link(config: JoinConfig, na: Column, pa_: Column, nb: Column, pb: Column) -> Column:
-    """Size filter, and position filter: what can still be shared after these places of one token."""
-    least = F.ceil(F.lit(config.percent) * (na + nb) / F.lit(100.0 + config.percent))
-    size = (na * 100 >= nb * config.percent) & (nb * 100 >= na * config.percent)
-    return size & (F.least(pa_, pb) + F.least(na - pa_, nb - pb) >= least)
+def _like_size(config: JoinConfig, a: str, b: str) -> Column:
+    na, nb = F.col(f"{a}n"), F.col(f"{b}n")
+    return (na * 100 >= nb * config.percent) & (nb * 100 >= na * config.percent)
 
 
 def _verified(docs: DataFrame, marks: DataFrame, pairs: DataFrame, config: JoinConfig, best: bool) -> DataFrame:
-    """The links (u, v) among pairs (a, b) of class ids; with best only the nearest b of each a is tried."""
+    """The links (u, v) among pairs (a, b) of class ids; with best only the nearest partner of each class is tried."""
     bits = marks.select("doc_id", "n", "bits")
     rows = pairs.join(bits.toDF("a", "na", "bits_a"), "a").join(bits.toDF("b", "nb", "bits_b"), "b").select("a", "b", "na", "nb", "bits_a", "bits_b")
     near = rows.mapInArrow(_bitmap_pass(config), "a long, b long, distance long")
     if best:
-        near = near.groupBy("a").agg(F.min(F.struct("distance", "b")).alias("m")).select("a", F.col("m.b").alias("b"))
+        near = materialize(near, "join-far")
+        ways = near.unionByName(near.select(F.col("b").alias("a"), F.col("a").alias("b"), "distance"))
+        near = ways.groupBy("a").agg(F.min(F.struct("distance", "b")).alias("m")).select(F.least("a", "m.b").alias("a"), F.greatest("a", "m.b").alias("b")).distinct()
     near = materialize(near.select("a", "b"), "join-near")
     ids = materialize(near.select(F.col("a").alias("doc_id")).unionByName(near.select(F.col("b").alias("doc_id"))).distinct(), "join-ids")
     texts = docs.select("doc_id", "text").join(broadcast_if_small(ids, ids.count()), "doc_id", "left_semi")
@@ -194,24 +213,56 @@ def _verified(docs: DataFrame, marks: DataFrame, pairs: DataFrame, config: JoinC
     return materialize(whole.mapInArrow(_exact_pass(config), "u long, v long"), "join-links")
 
 
-def _cross_pairs(meetings: DataFrame, config: JoinConfig) -> DataFrame:
-    """Distinct pairs (a, b) from meetings (token, comp, cid, n, pos) of different components that
-    meet at a token. Pairs of one component are never made."""
-    sides = meetings.select("token", "comp").distinct()
-    mixed = sides.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("token")
-    held = materialize(meetings.join(mixed, "token"), "join-mixed")
-    sides = held.select("token", "comp").distinct()
-    across = sides.toDF("token", "ca").join(sides.toDF("token", "cb"), "token").where("ca < cb")
-    one, two = (held.select("token", F.col("comp").alias(f"c{s}"), F.col("cid").alias(s), F.col("n").alias(f"n{s}"), F.col("pos").alias(f"p{s}")) for s in "ab")
-    pairs = across.join(one, ["token", "ca"]).join(two, ["token", "cb"])
-    return pairs.where(_may_link(config, F.col("na"), F.col("pa"), F.col("nb"), F.col("pb"))).select("a", "b").distinct()
+def _sides(meetings: DataFrame, config: JoinConfig) -> tuple[DataFrame, DataFrame]:
+    """(index, probe) of meetings (token, comp, cid, n, m, pos): rows that may be the smaller and the
+    larger partner of a pair whose first common shingle this is, by token and size bucket.
+
+    From its first common shingle on, a document can share rest = m - pos, and a pair of sizes n, k
+    needs percent * (n + k) / (100 + percent). So the smaller needs twice its share of its own size,
+    and the larger finds partners only up to a size that its rest allows: hi."""
+    share = 100 + config.percent
+    bucket = lambda x: F.floor(F.log(x.cast("double")) / F.lit(0.05)).cast("int")
+    rows = meetings.select("token", "comp", "cid", "n", (F.col("m") - F.col("pos")).alias("rest"))
+    index = rows.where(F.col("rest") * share >= 2 * config.percent * F.col("n")).withColumn("bucket", bucket(F.col("n")))
+    lo = F.expr(f"(n * {config.percent} + 99) div 100")
+    hi = F.least(F.expr(f"rest * {share} div {config.percent}") - F.col("n"), F.col("n"))
+    probe = rows.withColumn("lo", lo).withColumn("hi", hi).where("lo <= hi")
+    return index, probe.withColumn("bucket", F.explode(F.sequence(bucket(F.col("lo")), bucket(F.col("hi")))))
+
+
+def _across(index: DataFrame, probe: DataFrame) -> DataFrame:
+    """(token, bucket, a_comp, b_comp, nb, ways): where members of different components meet, and how many
+    pairs of members that is. Grouped first, so no row stands for a pair within a component."""
+    one = probe.groupBy("token", "bucket", F.col("comp").alias("a_comp")).agg(F.count(F.lit(1)).alias("na"))
+    two = index.groupBy("token", "bucket", F.col("comp").alias("b_comp")).agg(F.count(F.lit(1)).alias("nb"))
+    return one.join(two, ["token", "bucket"]).where("a_comp <> b_comp").select("token", "bucket", "a_comp", "b_comp", "nb", (F.col("na") * F.col("nb")).alias("ways"))
+
+
+def _cross_pairs(index: DataFrame, probe: DataFrame, across: DataFrame, folds: DataFrame, config: JoinConfig) -> DataFrame:
+    """Distinct pairs (a, b) of different components that may link, and differ in no more places of
+    their short bitmaps (doc_id, f0, ...) than linked sets do. The component with most index rows at a
+    place meets only the others' rows, so members of one large component are not held together."""
+    place = ["token", "bucket"]
+    most = across.select(*place, F.col("b_comp").alias("comp"), "nb").distinct().groupBy(*place).agg(F.max_by("comp", "nb").alias("most"))
+    names = [f"f{k}" for k in range(_FOLDS)]
+    held = folds.select(F.col("doc_id").alias("cid"), *names)
+    one = probe.join(most, place).join(held, "cid").select(*place, "most", "lo", "hi", *[F.col(c).alias(f"a_{c}") for c in ("comp", "cid", "n", *names)])
+    two = index.join(most, place).join(held, "cid").select(*place, "most", *[F.col(c).alias(f"b_{c}") for c in ("comp", "cid", "n", "rest", *names)])
+    share, both = 100 + config.percent, F.col("a_n") + F.col("b_n")
+    differ = sum((F.bit_count(F.col(f"a_{c}").bitwiseXOR(F.col(f"b_{c}"))) for c in names), F.lit(0))
+    fits = (F.col("a_comp") != F.col("b_comp")) & F.col("b_n").between(F.col("lo"), F.col("hi")) & (F.col("b_rest") * share >= config.percent * both)
+    fits = fits & (differ <= both - 2 * F.ceil(config.percent * both / float(share)))
+    sides = (one, two.where("b_comp <> most")), (one.where("a_comp <> most"), two.where("b_comp = most"))
+    pairs = [x.drop("most").join(y.drop("most"), place).where(fits) for x, y in sides]
+    return pairs[0].unionByName(pairs[1]).select(F.least("a_cid", "b_cid").alias("a"), F.greatest("a_cid", "b_cid").alias("b")).distinct()
 
 
 def ngram_components(docs: DataFrame, config: JoinConfig = JoinConfig()) -> DataFrame:
     """One row per row of docs (doc_id, text): doc_id, n_shingles, component_id."""
-    frequent = frequent_shingles(docs, config)
-    schema = "doc_id long, n long, fp1 long, fp2 long, pk long, prefix binary, bits binary"
-    marks = materialize(docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_describe(config, frequent), schema), "join-marks")
+    bound_arrow(docs.sparkSession)
+    frequent, lead = frequent_shingles(docs, config)
+    schema = "doc_id long, n long, fp1 long, fp2 long, pk long, prefix binary, bits binary, " + ", ".join(f"f{k} long" for k in range(_FOLDS))
+    marks = materialize(docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_describe(config, frequent, lead), schema), "join-marks")
     some = marks.where("n > 0 AND doc_id IS NOT NULL")
     # classes of equal sets, groups of equal prefix and size; each is named by its least doc_id
     classes = some.groupBy("fp1", "fp2", "n", "pk").agg(F.min("doc_id").alias("cid"))
@@ -221,27 +272,49 @@ def ngram_components(docs: DataFrame, config: JoinConfig = JoinConfig()) -> Data
     prefixes = some.groupBy("n", "pk").agg(F.min("doc_id").alias("gid"), F.first("prefix").alias("prefix"))
     postings = prefixes.select("gid", "n", "prefix").mapInArrow(_explode_prefix, "token long, gid long, n long, pos long")
     by_token = Window.partitionBy("token")
-    shared = postings.withColumn("least", F.min(F.struct("gid", "n", "pos")).over(by_token)).withColumn("many", F.count(F.lit(1)).over(by_token))
+    common = postings.withColumn("many", F.count(F.lit(1)).over(by_token)).where("many > 1")
+    common = materialize(common.select("token", "gid", "n", "pos"), "join-common")
+    # a group can't share its other prefix shingles: they bound what it may share, at all and after each place
+    prefix_size = F.expr(f"n - (n * {config.percent} + 99) div 100 + 1")
+    own = Window.partitionBy("gid")
+    shared = common.withColumn("pos", F.row_number().over(own.orderBy("pos")).cast("long") - 1).withColumn("m", F.col("n") - prefix_size + F.count(F.lit(1)).over(own))
+    shared = shared.where(F.col("m") * 100 >= F.col("n") * config.percent)
+    beside = by_token.orderBy("n", F.xxhash64("gid", "token"))
+    shared = shared.withColumn("next", F.lead(F.struct("gid", "n", "m", "pos")).over(beside)).withColumn("many", F.count(F.lit(1)).over(by_token))
     shared = materialize(shared.where("many > 1").drop("many"), "join-shared")
-    # first links: each class with the nearest of its pivots
-    pivots = shared.where(F.col("gid") != F.col("least.gid")).where(_may_link(config, F.col("n"), F.col("pos"), F.col("least.n"), F.col("least.pos")))
-    pivots = pivots.select("gid", F.col("least.gid").alias("b")).distinct()
-    star = classes.select("gid", F.col("cid").alias("a")).join(pivots, "gid").select("a", "b")
-    star = star.unionByName(classes.where("cid <> gid").select(F.col("cid").alias("a"), F.col("gid").alias("b")))
-    reps = some.join(classes.select(F.col("cid").alias("doc_id"), "fp1", "fp2"), ["doc_id", "fp1", "fp2"], "left_semi").select("doc_id", "n", "bits")
-    first = _verified(docs, reps, star, config, best=True)
-    # then what lies across components
-    settled = components(first)
-    meetings = shared.select("token", "gid", "pos").unionByName(
-        classes.where("cid <> gid").select("gid").distinct().select(F.xxhash64("gid", F.lit("group")).alias("token"), "gid", F.lit(0).cast("long").alias("pos")))
-    meetings = meetings.join(classes.select("gid", "cid", "n"), "gid").join(settled, F.col("cid") == F.col("node"), "left")
-    across = _cross_pairs(meetings.select("token", F.coalesce("component", "cid").alias("comp"), "cid", "n", "pos"), config)
-    second = _verified(docs, reps, across, config, best=False)
+    # first links: each group with its neighbours by size at its shingles, each class with its group's first
+    pairs = shared.where(F.col("next").isNotNull()).where(_like_size(config, "", "next."))
+    pairs = pairs.select(F.least("gid", "next.gid").alias("a"), F.greatest("gid", "next.gid").alias("b"))
+    pairs = pairs.unionByName(classes.where("cid <> gid").select(F.col("gid").alias("a"), F.col("cid").alias("b"))).distinct()
+    reps = some.join(classes.select(F.col("cid").alias("doc_id"), "fp1", "fp2"), ["doc_id", "fp1", "fp2"], "left_semi").select("doc_id", "n", "bits", *[f"f{k}" for k in range(_FOLDS)])
+    links = _verified(docs, reps, pairs, config, best=True)
+    meetings = shared.select("token", "gid", "n", "m", "pos").unionByName(
+        classes.where("cid <> gid").select("gid", "n").distinct().select(F.xxhash64("gid", F.lit("group")).alias("token"), "gid", "n", F.col("n").alias("m"), F.lit(0).cast("long").alias("pos")))
+    meetings = meetings.join(classes.select("gid", "cid"), "gid")
+    for turn in range(config.rounds + 1):
+        settled = components(links)
+        held = meetings.join(settled, F.col("cid") == F.col("node"), "left").select("token", F.coalesce("component", "cid").alias("comp"), "cid", "n", "m", "pos")
+        index, probe = _sides(held, config)
+        across = materialize(_across(index, probe), "join-across")
+        size = across.agg(F.sum("ways").alias("ways"), F.countDistinct("token").alias("tokens")).first()
+        if turn == config.rounds or (size["ways"] or 0) <= config.crowded * size["tokens"]:
+            break
+        # many pairs lie across components: first link more of them, each class with random neighbours at its shingles
+        beside = Window.partitionBy("token").orderBy(F.xxhash64("cid", "token", F.lit(turn)))
+        crowd = held.join(across.select("token").distinct(), "token", "left_semi")
+        tried = crowd.withColumn("next", F.lead(F.struct("cid", "comp", "n", "m", "pos")).over(beside)).where(F.col("comp") != F.col("next.comp"))
+        tried = tried.where(_like_size(config, "", "next."))
+        found = _verified(docs, reps, tried.select(F.least("cid", "next.cid").alias("a"), F.greatest("cid", "next.cid").alias("b")).distinct(), config, best=True)
+        if found.isEmpty():
+            break
+        links = links.unionByName(found)
+    # then all that lies across components
+    links = links.unionByName(_verified(docs, reps, _cross_pairs(index, probe, across, reps, config), config, best=False))
     # rows that share a doc_id are one document
     rows = marks.select("doc_id", "n", "fp1", "fp2").join(classes.select("fp1", "fp2", "n", "cid"), ["fp1", "fp2", "n"], "left")
     twice = some.groupBy("doc_id").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("doc_id")
     own = rows.join(twice, "doc_id", "left_semi").where("cid <> doc_id").select(F.col("doc_id").alias("u"), F.col("cid").alias("v")).distinct()
-    final = components(first.unionByName(second).unionByName(own))
+    final = components(links.unionByName(own))
     return (
         rows.join(final, F.col("node") == F.when(F.col("n") > 0, F.col("cid")), "left")
         .select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "cid", "doc_id")).alias("component_id"))

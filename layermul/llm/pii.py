@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .scratch import table
+from .scratch import bound_arrow, table
 from .textscan import SPACED, find_words, hash_words, small_batches, text_bytes
 
 BASE = ("email", "ip", "card", "phone")
@@ -328,6 +328,7 @@ def _scan(field: LineField):
 
 def personal_data(docs: DataFrame, field: LineField | None = None) -> DataFrame:
     """One row per document: doc_id, counts of the base kinds, digest of the base spans, all spans."""
+    bound_arrow(docs.sparkSession)
     schema = "doc_id long, " + ", ".join(f"n_{k} long" for k in BASE) + ", base_sha256 string, spans string"
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_scan(field or trained_field()), schema)
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from layermul.session import fresh_path
+from layermul.session import fresh_path, reach_workers
 
 #: Rows of a narrow side that may be broadcast; larger sides are joined by shuffle.
 BROADCAST_ROWS = 1_000_000
@@ -15,6 +15,7 @@ ARROW_BYTES = 8 << 20
 
 def bound_arrow(spark: SparkSession) -> None:
     """Batches for Python are bounded by bytes, however long the texts are (a run-time setting)."""
+    reach_workers(spark)
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", ARROW_BYTES)
 
 

@@ -10,6 +10,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 _RNG = np.random.Generator(np.random.PCG64(20260101))
 _BYTE = _RNG.integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
@@ -141,7 +142,7 @@ def text_shingles(column: pa.Array, inside: np.ndarray, k: int = 5) -> tuple[np.
     return shingles(hash_words(data, starts, ends), bounds, k)
 
 
-def small_batches(batches: Iterator[pa.RecordBatch], column: str, most: int = 8 << 20) -> Iterator[pa.RecordBatch]:
+def small_batches(batches: Iterator[pa.RecordBatch], column: str, most: int = 2 << 20) -> Iterator[pa.RecordBatch]:
     """Slices of the batches with at most `most` bytes in a text or binary column, one row at least:
     what numpy holds at once doesn't grow with Spark's batch size."""
     for batch in batches:
@@ -150,7 +151,7 @@ def small_batches(batches: Iterator[pa.RecordBatch], column: str, most: int = 8
             if batch.num_rows:
                 yield batch
             continue
-        size = np.concatenate([[0], np.cumsum(np.asarray(pa.compute.fill_null(pa.compute.binary_length(c), 0), dtype=np.int64))])
+        size = np.concatenate([[0], np.cumsum(np.asarray(pc.fill_null(pc.binary_length(c), 0), dtype=np.int64))])
         i = 0
         while i < batch.num_rows:
             j = max(i + 1, int(np.searchsorted(size, size[i] + most, "right")) - 1)
