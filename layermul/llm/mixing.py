@@ -150,3 +150,30 @@ def mixed_documents(docs: DataFrame, config: MixConfig = MixConfig()) -> DataFra
     size, u = _size_and_draw(config)
     full = mix(docs.select(F.struct(*docs.columns).alias("row"), "source", size.alias("size"), u.alias("u")), plan, config)
     return full.where(F.col("copies") > 0).select("row", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select("row.*")
+
+
+def op5_oracle(config: MixConfig = MixConfig()) -> str:
+    """The same mixture by running sums over whole sources, for small tables."""
+    weights = f"[{', '.join(f'{float(w)}::DOUBLE' for w in config.weights)}]"
+    steps = []
+    for k in range(config.passes):
+        free = " AND ".join(["size > 0", "share > 0", f"size <= gap{k}", *[f"NOT taken{i}" for i in range(k)]])
+        steps.append(f"""o{k} AS (SELECT *, coalesce(sum(CASE WHEN {free} THEN size END) OVER (PARTITION BY source ORDER BY CASE WHEN {free} THEN r ELSE 9 END RANGE UNBOUNDED PRECEDING), 0) AS upto{k}, {free} AS open{k} FROM {f"g{k - 1}" if k else "g"}),
+          t{k} AS (SELECT *, open{k} AND upto{k} <= gap{k} AS taken{k} FROM o{k}),
+          g{k} AS (SELECT *, gap{k} - coalesce(max(CASE WHEN taken{k} THEN upto{k} END) OVER (PARTITION BY source), 0) AS gap{k + 1} FROM t{k})""")
+    taken = " OR ".join(f"taken{k}" for k in range(config.passes))
+    return rf"""WITH d AS (SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT AS size,
+          (('0x' || substr(md5('{config.seed}:' || coalesce(doc_id::VARCHAR, '') || ':' || coalesce(text, '')), 1, 12))::BIGINT + 0.5::DOUBLE) / {2**48}::DOUBLE AS u FROM documents),
+      s AS (SELECT source, sum(size)::BIGINT AS source_size, row_number() OVER (ORDER BY source NULLS LAST) - 1 AS place FROM d GROUP BY source),
+      w AS (SELECT *, {weights}[place % {len(config.weights)} + 1] AS weight FROM s),
+      l AS (SELECT *, source_size * {config.cap} / weight AS ratio, row_number() OVER (ORDER BY source_size * {config.cap} / weight, source NULLS LAST) AS turn FROM w),
+      v AS (SELECT *, (sum(source_size) OVER () - coalesce(sum(source_size * {config.cap}) OVER (ORDER BY turn ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))::DOUBLE
+          / (sum(weight) OVER () - coalesce(sum(weight) OVER (ORDER BY turn ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)) AS level FROM l),
+      c AS (SELECT turn AS cut_turn, level AS cut_level FROM v WHERE level <= ratio ORDER BY turn LIMIT 1),
+      p AS (SELECT source, source_size, CASE WHEN turn < cut_turn THEN (source_size * {config.cap})::DOUBLE ELSE least(cut_level * weight, (source_size * {config.cap})::DOUBLE) END AS target FROM v, c),
+      q AS (SELECT *, CASE WHEN source_size > 0 THEN target / source_size ELSE 0 END AS copies FROM p),
+      g AS (SELECT d.doc_id, d.source, size, source_size, target, floor(copies)::BIGINT AS whole, copies - floor(copies) AS share, target - floor(copies) * source_size AS gap0,
+          CASE WHEN copies > floor(copies) THEN ((u / (1 - u)) * ((1 - (copies - floor(copies))) / (copies - floor(copies)))) / (1 + (u / (1 - u)) * ((1 - (copies - floor(copies))) / (copies - floor(copies)))) ELSE 2 END AS r
+          FROM d JOIN q ON d.source IS NOT DISTINCT FROM q.source),
+      {", ".join(steps)}
+      SELECT doc_id, size, source_size, target, size * (CASE WHEN size > 0 THEN whole + ({taken})::BIGINT ELSE 0 END) AS taken FROM g{config.passes - 1}"""
