@@ -71,6 +71,13 @@ def run_galerkin(a: SparseMatrix, name: str) -> Iterator[dict]:
     yield _row("RtAR", name, "contract", value=_seconds(coarsen.contract(a, r.df.select("i", F.col("j").alias("c")), r.ncols).df))
 
 
+def run_library_comparison(a: SparseMatrix, name: str) -> Iterator[dict]:
+    """A R by the one-dimensional plan with randomly dealt rows, against the grids."""
+    r = _held(coarsen.restriction(a, coarsen.mis2(a)))
+    for plan, make in {"oned": lambda: oned(a, r), "grid2d": lambda: grid2d(a, r, 4, 4), "grid3d": lambda: grid3d(a, r, Grid(2, 2, 4))}.items():
+        yield _row("AR", name, plan, value=_seconds(make().df))
+
+
 def run_permutation_ablation(a: SparseMatrix, name: str, grid: Grid = Grid(4, 4, 1)) -> Iterator[dict]:
     from layermul.matrix import AffinePermutation
 
