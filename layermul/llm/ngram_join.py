@@ -34,7 +34,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .components import components
-from .scratch import bound_arrow, broadcast_if_small, materialize, table
+from .scratch import bound_arrow, broadcast_if_small, materialize, release, table
 from .textscan import SPACED, mix, small_batches, text_shingles
 
 
@@ -263,6 +263,7 @@ def ngram_components(docs: DataFrame, config: JoinConfig = JoinConfig()) -> Data
     frequent, lead = frequent_shingles(docs, config)
     schema = "doc_id long, n long, fp1 long, fp2 long, pk long, prefix binary, bits binary, " + ", ".join(f"f{k} long" for k in range(_FOLDS))
     marks = materialize(docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_describe(config, frequent, lead), schema), "join-marks")
+    release(docs.sparkSession)
     some = marks.where("n > 0 AND doc_id IS NOT NULL")
     # classes of equal sets, groups of equal prefix and size; each is named by its least doc_id
     classes = some.groupBy("fp1", "fp2", "n", "pk").agg(F.min("doc_id").alias("cid"))
@@ -274,6 +275,7 @@ def ngram_components(docs: DataFrame, config: JoinConfig = JoinConfig()) -> Data
     by_token = Window.partitionBy("token")
     common = postings.withColumn("many", F.count(F.lit(1)).over(by_token)).where("many > 1")
     common = materialize(common.select("token", "gid", "n", "pos"), "join-common")
+    release(docs.sparkSession)
     # a group can't share its other prefix shingles: they bound what it may share, at all and after each place
     prefix_size = F.expr(f"n - (n * {config.percent} + 99) div 100 + 1")
     own = Window.partitionBy("gid")
@@ -288,6 +290,7 @@ def ngram_components(docs: DataFrame, config: JoinConfig = JoinConfig()) -> Data
     pairs = pairs.unionByName(classes.where("cid <> gid").select(F.col("gid").alias("a"), F.col("cid").alias("b"))).distinct()
     reps = some.join(classes.select(F.col("cid").alias("doc_id"), "fp1", "fp2"), ["doc_id", "fp1", "fp2"], "left_semi").select("doc_id", "n", "bits", *[f"f{k}" for k in range(_FOLDS)])
     links = _verified(docs, reps, pairs, config, best=True)
+    release(docs.sparkSession)
     meetings = shared.select("token", "gid", "n", "m", "pos").unionByName(
         classes.where("cid <> gid").select("gid", "n").distinct().select(F.xxhash64("gid", F.lit("group")).alias("token"), "gid", "n", F.col("n").alias("m"), F.lit(0).cast("long").alias("pos")))
     meetings = meetings.join(classes.select("gid", "cid"), "gid")
@@ -308,8 +311,10 @@ def ngram_components(docs: DataFrame, config: JoinConfig = JoinConfig()) -> Data
         if found.isEmpty():
             break
         links = links.unionByName(found)
+    release(docs.sparkSession)
     # then all that lies across components
     links = links.unionByName(_verified(docs, reps, _cross_pairs(index, probe, across, reps, config), config, best=False))
+    release(docs.sparkSession)
     # rows that share a doc_id are one document
     rows = marks.select("doc_id", "n", "fp1", "fp2").join(classes.select("fp1", "fp2", "n", "cid"), ["fp1", "fp2", "n"], "left")
     twice = some.groupBy("doc_id").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("doc_id")

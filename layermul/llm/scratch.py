@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import gc
+
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -19,6 +22,14 @@ def bound_arrow(spark: SparkSession) -> None:
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", ARROW_BYTES)
 
 
+def release(spark: SparkSession) -> None:
+    """Let go of finished phases: Spark deletes the shuffle files and broadcasts of plans that nothing
+    refers to when the driver collects its garbage, which it may otherwise do much later."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    spark.sparkContext._jvm.System.gc()
+
+
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write df once to the shared folder and return a reader of it: later plans start from files
     that survive lost executors. Void columns are not allowed in Parquet and must be cast before."""
