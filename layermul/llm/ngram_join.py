@@ -4,8 +4,7 @@ A document is its set of distinct 5-word shingles. Two link when 100 * |intersec
 |union|. Any two that link share a shingle among the first n - ceil(n * percent / 100) + 1 of each
 in one common order, the prefix. The order puts frequent shingles last, so that prefixes rarely meet
 by common passages. Documents with the same prefix and size form a group; groups meet by shared
-prefix shingles, pass size and position filters (which know that a prefix shingle of one group alone
-is shared with none), and are expanded to their distinct members, which
+prefix shingles, pass size and position filters, and are expanded to their distinct members, which
 pass a bitmap filter (a parity bitmap differs in no more places than the sets do) and are verified
 on their whole sets.
 
@@ -100,33 +99,36 @@ def _signed(x: np.ndarray) -> int:
 
 
 def _describe(config: JoinConfig, frequent: np.ndarray, lead: int):
-    """doc_id, n, two sums that stand for the set, prefix key, prefix, bitmap of the set's size, and a
-    short bitmap of one size for all."""
+    """doc_id, n, two sums that stand for the set, prefix key, prefix, how far the prefix reaches in the
+    order, bitmap of the set's size, and a short bitmap of one size for all."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in small_batches(batches, "text"):
             s, at = text_shingles(batch.column(1), SPACED, config.words)
-            n, fp1, fp2, pk, prefix, bits, fold = [], [], [], [], [], [], []
+            n, fp1, fp2, pk, prefix, reach, bits, fold = [], [], [], [], [], [], [], []
             for d in range(batch.num_rows):
                 u = np.unique(s[at[d] : at[d + 1]])
+                early = len(u)
                 n.append(len(u))
                 fp1.append(_signed(mix(u).sum(dtype=np.uint64)))
                 fp2.append(_signed(mix(u ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64)))
                 if len(frequent) and len(u):
                     mark = u >> np.uint64(64 - lead)
                     last = frequent[np.minimum(np.searchsorted(frequent, mark), len(frequent) - 1)] == mark
-                    u = np.concatenate([u[~last], u[last]]) if last.any() else u
+                    u, early = np.concatenate([u[~last], u[last]]) if last.any() else u, len(u) - int(last.sum())
                 p = u[: len(u) - -(-len(u) * config.percent // 100) + 1] if len(u) else u
                 pk.append(_signed(mix(p + np.uint64(0x2545F4914F6CDD1D)).sum(dtype=np.uint64)))
                 prefix.append(p.tobytes())
+                # half the last prefix shingle, below 0 where it is not a frequent one
+                reach.append((int(p[-1]) >> 1) - (0 if len(p) > early else 1 << 63) if len(p) else 0)
                 width = max(64, 1 << (2 * max(len(u), 1) - 1).bit_length())
                 parity = np.bincount((u & np.uint64(width - 1)).astype(np.int64), minlength=width) & 1
                 bits.append(np.packbits(parity.astype(np.uint8), bitorder="little").tobytes())
                 parity = np.bincount((u & np.uint64(64 * _FOLDS - 1)).astype(np.int64), minlength=64 * _FOLDS) & 1
                 fold.append(np.packbits(parity.astype(np.uint8), bitorder="little").view(np.int64))
-            cols = [batch.column(0), pa.array(n, pa.int64()), pa.array(fp1, pa.int64()), pa.array(fp2, pa.int64()), pa.array(pk, pa.int64()), pa.array(prefix, pa.binary()), pa.array(bits, pa.binary())]
+            cols = [batch.column(0), pa.array(n, pa.int64()), pa.array(fp1, pa.int64()), pa.array(fp2, pa.int64()), pa.array(pk, pa.int64()), pa.array(prefix, pa.binary()), pa.array(reach, pa.int64()), pa.array(bits, pa.binary())]
             folds = np.array(fold).reshape(len(fold), _FOLDS)
-            yield pa.RecordBatch.from_arrays([*cols, *(pa.array(folds[:, k]) for k in range(_FOLDS))], ["doc_id", "n", "fp1", "fp2", "pk", "prefix", "bits", *(f"f{k}" for k in range(_FOLDS))])
+            yield pa.RecordBatch.from_arrays([*cols, *(pa.array(folds[:, k]) for k in range(_FOLDS))], ["doc_id", "n", "fp1", "fp2", "pk", "prefix", "reach", "bits", *(f"f{k}" for k in range(_FOLDS))])
 
     return run
 
@@ -214,15 +216,15 @@ def _verified(docs: DataFrame, marks: DataFrame, pairs: DataFrame, config: JoinC
 
 
 def _sides(meetings: DataFrame, config: JoinConfig) -> tuple[DataFrame, DataFrame]:
-    """(index, probe) of meetings (token, comp, cid, n, m, pos): rows that may be the smaller and the
+    """(index, probe) of meetings (token, comp, cid, n, rest, held): rows that may be the smaller and the
     larger partner of a pair whose first common shingle this is, by token and size bucket.
 
-    From its first common shingle on, a document can share rest = m - pos, and a pair of sizes n, k
+    From its first common shingle on, a document can share its `rest` shingles, and a pair of sizes n, k
     needs percent * (n + k) / (100 + percent). So the smaller needs twice its share of its own size,
     and the larger finds partners only up to a size that its rest allows: hi."""
     share = 100 + config.percent
     bucket = lambda x: F.floor(F.log(x.cast("double")) / F.lit(0.05)).cast("int")
-    rows = meetings.select("token", "comp", "cid", "n", (F.col("m") - F.col("pos")).alias("rest"))
+    rows = meetings.select("token", "comp", "cid", "n", "rest", "held")
     index = rows.where(F.col("rest") * share >= 2 * config.percent * F.col("n")).withColumn("bucket", bucket(F.col("n")))
     lo = F.expr(f"(n * {config.percent} + 99) div 100")
     hi = F.least(F.expr(f"rest * {share} div {config.percent}") - F.col("n"), F.col("n"))
@@ -240,17 +242,21 @@ def _across(index: DataFrame, probe: DataFrame) -> DataFrame:
 
 def _cross_pairs(index: DataFrame, probe: DataFrame, across: DataFrame, folds: DataFrame, config: JoinConfig) -> DataFrame:
     """Distinct pairs (a, b) of different components that may link, and differ in no more places of
-    their short bitmaps (doc_id, f0, ...) than linked sets do. The component with most index rows at a
+    their short bitmaps (doc_id, f0, ...) than linked sets do. Of the two, the one whose prefix ends
+    earlier in the order shares at most `held`: what it has in common with the other and in its own
+    prefix is in the other's prefix too. For the other one that does not hold. The component with most index rows at a
     place meets only the others' rows, so members of one large component are not held together."""
     place = ["token", "bucket"]
     most = across.select(*place, F.col("b_comp").alias("comp"), "nb").distinct().groupBy(*place).agg(F.max_by("comp", "nb").alias("most"))
     names = [f"f{k}" for k in range(_FOLDS)]
-    held = folds.select(F.col("doc_id").alias("cid"), *names)
-    one = probe.join(most, place).join(held, "cid").select(*place, "most", "lo", "hi", *[F.col(c).alias(f"a_{c}") for c in ("comp", "cid", "n", *names)])
-    two = index.join(most, place).join(held, "cid").select(*place, "most", *[F.col(c).alias(f"b_{c}") for c in ("comp", "cid", "n", "rest", *names)])
+    maps = folds.select(F.col("doc_id").alias("cid"), "reach", *names)
+    one = probe.join(most, place).join(maps, "cid").select(*place, "most", "lo", "hi", *[F.col(c).alias(f"a_{c}") for c in ("comp", "cid", "n", "held", "reach", *names)])
+    two = index.join(most, place).join(maps, "cid").select(*place, "most", *[F.col(c).alias(f"b_{c}") for c in ("comp", "cid", "n", "rest", "held", "reach", *names)])
     share, both = 100 + config.percent, F.col("a_n") + F.col("b_n")
     differ = sum((F.bit_count(F.col(f"a_{c}").bitwiseXOR(F.col(f"b_{c}"))) for c in names), F.lit(0))
     fits = (F.col("a_comp") != F.col("b_comp")) & F.col("b_n").between(F.col("lo"), F.col("hi")) & (F.col("b_rest") * share >= config.percent * both)
+    for x, y in ("ab", "ba"):
+        fits = fits & ((F.col(f"{x}_reach") >= F.col(f"{y}_reach")) | (F.col(f"{x}_held") * share >= config.percent * both))
     fits = fits & (differ <= both - 2 * F.ceil(config.percent * both / float(share)))
     sides = (one, two.where("b_comp <> most")), (one.where("a_comp <> most"), two.where("b_comp = most"))
     pairs = [x.drop("most").join(y.drop("most"), place).where(fits) for x, y in sides]
@@ -261,7 +267,7 @@ def ngram_components(docs: DataFrame, config: JoinConfig = JoinConfig()) -> Data
     """One row per row of docs (doc_id, text): doc_id, n_shingles, component_id."""
     bound_arrow(docs.sparkSession)
     frequent, lead = frequent_shingles(docs, config)
-    schema = "doc_id long, n long, fp1 long, fp2 long, pk long, prefix binary, bits binary, " + ", ".join(f"f{k} long" for k in range(_FOLDS))
+    schema = "doc_id long, n long, fp1 long, fp2 long, pk long, prefix binary, reach long, bits binary, " + ", ".join(f"f{k} long" for k in range(_FOLDS))
     marks = materialize(docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_describe(config, frequent, lead), schema), "join-marks")
     release(docs.sparkSession)
     some = marks.where("n > 0 AND doc_id IS NOT NULL")
@@ -276,27 +282,26 @@ def ngram_components(docs: DataFrame, config: JoinConfig = JoinConfig()) -> Data
     common = postings.withColumn("many", F.count(F.lit(1)).over(by_token)).where("many > 1")
     common = materialize(common.select("token", "gid", "n", "pos"), "join-common")
     release(docs.sparkSession)
-    # a group can't share its other prefix shingles: they bound what it may share, at all and after each place
-    prefix_size = F.expr(f"n - (n * {config.percent} + 99) div 100 + 1")
-    own = Window.partitionBy("gid")
-    shared = common.withColumn("pos", F.row_number().over(own.orderBy("pos")).cast("long") - 1).withColumn("m", F.col("n") - prefix_size + F.count(F.lit(1)).over(own))
-    shared = shared.where(F.col("m") * 100 >= F.col("n") * config.percent)
+    # from each place on: all its shingles, and those without the prefix shingles of this group alone. The
+    # latter may still stand in others' suffixes, so `held` bounds only pairs with prefixes that reach further
+    suffix = F.expr(f"(n * {config.percent} + 99) div 100 - 1")
+    after = Window.partitionBy("gid").orderBy(F.desc("pos"))
+    shared = common.select("token", "gid", "n", (F.col("n") - F.col("pos")).alias("rest"), (suffix + F.row_number().over(after)).alias("held"))
     beside = by_token.orderBy("n", F.xxhash64("gid", "token"))
-    shared = shared.withColumn("next", F.lead(F.struct("gid", "n", "m", "pos")).over(beside)).withColumn("many", F.count(F.lit(1)).over(by_token))
-    shared = materialize(shared.where("many > 1").drop("many"), "join-shared")
+    shared = materialize(shared.withColumn("next", F.lead(F.struct("gid", "n")).over(beside)), "join-shared")
     # first links: each group with its neighbours by size at its shingles, each class with its group's first
     pairs = shared.where(F.col("next").isNotNull()).where(_like_size(config, "", "next."))
     pairs = pairs.select(F.least("gid", "next.gid").alias("a"), F.greatest("gid", "next.gid").alias("b"))
     pairs = pairs.unionByName(classes.where("cid <> gid").select(F.col("gid").alias("a"), F.col("cid").alias("b"))).distinct()
-    reps = some.join(classes.select(F.col("cid").alias("doc_id"), "fp1", "fp2"), ["doc_id", "fp1", "fp2"], "left_semi").select("doc_id", "n", "bits", *[f"f{k}" for k in range(_FOLDS)])
+    reps = some.join(classes.select(F.col("cid").alias("doc_id"), "fp1", "fp2"), ["doc_id", "fp1", "fp2"], "left_semi").select("doc_id", "n", "reach", "bits", *[f"f{k}" for k in range(_FOLDS)])
     links = _verified(docs, reps, pairs, config, best=True)
     release(docs.sparkSession)
-    meetings = shared.select("token", "gid", "n", "m", "pos").unionByName(
-        classes.where("cid <> gid").select("gid", "n").distinct().select(F.xxhash64("gid", F.lit("group")).alias("token"), "gid", "n", F.col("n").alias("m"), F.lit(0).cast("long").alias("pos")))
+    meetings = shared.select("token", "gid", "n", "rest", "held").unionByName(
+        classes.where("cid <> gid").select("gid", "n").distinct().select(F.xxhash64("gid", F.lit("group")).alias("token"), "gid", "n", F.col("n").alias("rest"), F.col("n").alias("held")))
     meetings = meetings.join(classes.select("gid", "cid"), "gid")
     for turn in range(config.rounds + 1):
         settled = components(links)
-        held = meetings.join(settled, F.col("cid") == F.col("node"), "left").select("token", F.coalesce("component", "cid").alias("comp"), "cid", "n", "m", "pos")
+        held = meetings.join(settled, F.col("cid") == F.col("node"), "left").select("token", F.coalesce("component", "cid").alias("comp"), "cid", "n", "rest", "held")
         index, probe = _sides(held, config)
         across = materialize(_across(index, probe), "join-across")
         size = across.agg(F.sum("ways").alias("ways"), F.countDistinct("token").alias("tokens")).first()
@@ -305,7 +310,7 @@ def ngram_components(docs: DataFrame, config: JoinConfig = JoinConfig()) -> Data
         # many pairs lie across components: first link more of them, each class with random neighbours at its shingles
         beside = Window.partitionBy("token").orderBy(F.xxhash64("cid", "token", F.lit(turn)))
         crowd = held.join(across.select("token").distinct(), "token", "left_semi")
-        tried = crowd.withColumn("next", F.lead(F.struct("cid", "comp", "n", "m", "pos")).over(beside)).where(F.col("comp") != F.col("next.comp"))
+        tried = crowd.withColumn("next", F.lead(F.struct("cid", "comp", "n")).over(beside)).where(F.col("comp") != F.col("next.comp"))
         tried = tried.where(_like_size(config, "", "next."))
         found = _verified(docs, reps, tried.select(F.least("cid", "next.cid").alias("a"), F.greatest("cid", "next.cid").alias("b")).distinct(), config, best=True)
         if found.isEmpty():

@@ -102,6 +102,16 @@ def test_ngram_join_is_exact(spark, frequent_least):
     assert sorted(tuple(r) for r in got.collect()) == sorted(brute_components(texts, ids))
 
 
+def test_ngram_join_keeps_shingles_of_the_other_suffix(spark):
+    base = prose(1004, 600)  # 1000 shingles, frequent ones, of which tails leave few in the copies' prefixes
+    tails = [180 + 7 * k // 3 for k in range(30)] + [250, 251, 260]
+    texts = [base] + [base + " " + prose(t, 700 + k) for k, t in enumerate(tails)]
+    ids = list(range(len(texts)))
+    want = sorted(brute_components(texts, ids))
+    assert sum(c == 0 for _, _, c in want) == 32
+    assert sorted(tuple(r) for r in ngram_join.ngram_components(table(spark, texts, ids)).collect()) == want
+
+
 def test_ngram_join_edges(spark):
     assert ngram_join.ngram_components(table(spark, [])).count() == 0
     got = ngram_join.ngram_components(table(spark, ["a b", "a b", None], [None, 3, None])).collect()
