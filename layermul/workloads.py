@@ -75,8 +75,12 @@ def _mesh(s, d):
 
 # --- products: plans, variants and baselines -------------------------------------------------------
 
-for _n in ("part_supp", "cust_part", "user_hour", "nation_trade", "doc_token", "host_link", "vec_sim", "conv_role", "next_part", "next_part_sym", "order_part", "mesh_part", "json_matrix"):
+for _n in ("part_supp", "cust_part", "user_hour", "nation_trade", "host_link", "vec_sim", "conv_role", "next_part", "next_part_sym", "order_part", "mesh_part", "json_matrix"):
     _add(f"matrix_{_n}", lambda s, d, n=_n: checksum(datasets.BUILDERS[n](s, d)), _checksum(SQL[_n]))
+# all words, and the share of them that stand in at most 50 documents
+for _n, _most in {"doc_token_whole": None, "doc_token": 50}.items():
+    _add(f"matrix_{_n}", lambda s, d, k=_most: checksum(datasets.doc_token(s, d, k)), _checksum(SQL[_n]))
+    _add(f"mm_{_n}", lambda s, d, k=_most: (lambda m: checksum(grid3d(m, m.t, Grid(2, 2, 2))))(datasets.doc_token(s, d, k)), _checksum(_product(SQL[_n], _t(SQL[_n]))))
 
 _add("mm_catalyst_order_part", lambda s, d: catalyst(_x1(s, d).t, _x1(s, d)).df, _X1tX1)
 _add("mm_grid3d_order_part", lambda s, d: grid3d(_x1(s, d).t, _x1(s, d), Grid(2, 2, 2)).df, _X1tX1)
@@ -98,7 +102,6 @@ _add("mm_grid3d_all_layers", lambda s, d: grid3d(_mesh(s, d), _mesh(s, d), Grid(
 _add("mm_replicated", lambda s, d: grid3d(_mesh(s, d), _mesh(s, d), Grid(2, 2, 2), layout="replicate").df, _X6X6)
 _add("mm_grid3d_next_part", lambda s, d: checksum(grid3d(_x4(s, d), _x4(s, d), Grid(2, 2, 2))), _checksum(_product(_X4, _X4)))
 _add("mm_grid3d_trade", lambda s, d: grid3d(datasets.nation_trade(s, d), datasets.nation_trade(s, d), Grid(2, 2, 2)).df, _product(_X8, _X8))
-_add("mm_doc_token", lambda s, d: (lambda m: checksum(grid3d(m, m.t, Grid(2, 2, 2))))(datasets.doc_token(s, d)), _checksum(_product(SQL["doc_token"], _t(SQL["doc_token"]))))
 for _c in CLASSES:
     _add(f"rmat_{_c}", lambda s, d, c=_c: rmat(s, c, 10).df, rmat_sql(_c, 10))
     _add(f"mm_grid3d_rmat_{_c}", lambda s, d, c=_c: checksum(grid3d(rmat(s, c, 10), rmat(s, c, 10), Grid(2, 2, 4))), _checksum(_product(rmat_sql(_c, 10), rmat_sql(_c, 10))))
