@@ -90,6 +90,8 @@ for _by in ("row", "col", "inner"):
 _add("mm_oned_block", lambda s, d: oned(_mesh(s, d), _mesh(s, d), parts=8, rowmap="block").df, _X6X6)
 _add("mm_oned_bcast", lambda s, d: multiply(_mesh(s, d), _mesh(s, d), plan="oned_broadcast").df, _X6X6)
 _add("mm_grid2d_mesh", lambda s, d: grid2d(_mesh(s, d), _mesh(s, d), 2, 2).df, _X6X6)
+_CUSTtCUST = _product(_t(SQL["cust_part"]), SQL["cust_part"])
+_add("mm_grid2d_rect_whole", lambda s, d: (lambda m: checksum(grid2d(m.t, m, 2, 3)))(datasets.cust_part(s, d)), _checksum(_CUSTtCUST))
 _add("mm_grid2d_rect", lambda s, d: grid2d(datasets.cust_part(s, d).t, datasets.cust_part(s, d), 2, 3).df.where("i % 10 = 0"), f"SELECT * FROM ({_product(_t(SQL['cust_part']), SQL['cust_part'])}) WHERE i % 10 = 0")
 for _b in (1, 7, None):
     _add(f"mm_grid2d_blocked_{_b or 'all'}", lambda s, d, b=_b: grid2d(_mesh(s, d), _mesh(s, d), 2, 2, block=b).df, _X6X6)

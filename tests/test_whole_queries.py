@@ -30,3 +30,18 @@ def test_words_of_many_documents_stay_in_the_product(spark, tmp_path):
     assert run(spark, "matrix_doc_token_whole", tmp_path) == rows_of({(i, rank[w]): v for i, c in enumerate(words) for w, v in c.items()})
     product = {(i, j): sum(v * b[w] for w, v in a.items()) for i, a in enumerate(words) for j, b in enumerate(words)}
     assert run(spark, "mm_doc_token_whole", tmp_path) == rows_of({c: v for c, v in product.items() if v})
+
+
+def test_rectangular_product_has_all_rows(spark):
+    cust = {}
+    orders = {r["o_orderkey"]: r["o_custkey"] for r in spark.read.parquet(f"{LITTLE}/orders.parquet").select("o_orderkey", "o_custkey").collect()}
+    for order, part, n in spark.read.parquet(f"{LITTLE}/lineitem.parquet").selectExpr("l_orderkey", "l_partkey", "cast(l_quantity as bigint)").collect():
+        if order in orders:
+            cust.setdefault(orders[order], Counter())[part] += n
+    product = Counter()
+    for bought in cust.values():
+        for i, x in bought.items():
+            for j, y in bought.items():
+                product[i, j] += x * y
+    got = run(spark, "mm_grid2d_rect_whole", LITTLE)
+    assert got == rows_of(product) and any(i % 10 for i in got)
