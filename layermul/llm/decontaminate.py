@@ -65,7 +65,8 @@ def _item_sets(config: ContainmentConfig):
 def item_sets(items: DataFrame, config: ContainmentConfig) -> DataFrame:
     bound_arrow(items.sparkSession)
     rows = items.select(F.col("item_id").cast("long"), "text").mapInArrow(_item_sets(config), "item_id long, length long, hashes binary")
-    return materialize(rows.where("length > 0"), "items")
+    # `row` tells repeated rows and items of one or no item_id apart; once written it doesn't change
+    return materialize(rows.where("length > 0").withColumn("row", F.monotonically_increasing_id()), "items")
 
 
 def _sketch_size(q: np.ndarray | int, percent: int):
@@ -171,23 +172,24 @@ def _exploded(config: ContainmentConfig, lengths: list[int]):
 def _item_rows(percent: int, sketch: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for item, length, blob in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
+            for item, length, blob, row in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
                 h = np.frombuffer(blob, np.uint64)
                 q, h = len(h), h[: _sketch_size(len(h), percent)] if sketch else h
-                yield pa.RecordBatch.from_arrays([pa.array([item] * len(h), pa.int64()), pa.array([q] * len(h), pa.int64()), pa.array([length] * len(h), pa.int64()), pa.array(h.view(np.int64))], ["item_id", "n_item", "length", "hash"])
+                yield pa.RecordBatch.from_arrays([pa.array([item] * len(h), pa.int64()), pa.array([q] * len(h), pa.int64()), pa.array([length] * len(h), pa.int64()), pa.array(h.view(np.int64)), pa.array([row] * len(h), pa.int64())], ["item_id", "n_item", "length", "hash", "row"])
 
     return run
 
 
 def _joined_pairs(docs: DataFrame, sets: DataFrame, config: ContainmentConfig) -> DataFrame:
-    """key, item_id, n_item, n_shared by joins, for benchmarks that no worker can hold. docs: key, text."""
+    """key, item_id, n_item, n_shared of every item row by joins, for benchmarks that no worker can hold. docs: key, text."""
     lengths = [r["length"] for r in sets.select("length").distinct().collect()]  # 1 to words
-    schema = "item_id long, n_item long, length long, hash long"
+    schema = "item_id long, n_item long, length long, hash long, row long"
     sketches, whole = (sets.mapInArrow(_item_rows(config.percent, s), schema) for s in (True, False))
     runs = docs.dropDuplicates(["key"]).mapInArrow(_exploded(config, lengths), "key long, length long, hash long").distinct()
-    near = runs.join(sketches, ["length", "hash"]).select("key", "item_id").distinct()
-    both = near.join(whole, "item_id").join(runs, ["key", "length", "hash"])
-    return both.groupBy("key", "item_id", "n_item").agg(F.count(F.lit(1)).alias("n_shared")).where(F.col("n_shared") * 100 >= F.col("n_item") * config.percent)
+    near = runs.join(sketches, ["length", "hash"]).select("key", "row").distinct()
+    both = near.join(whole, "row").join(runs, ["key", "length", "hash"])
+    found = both.groupBy("key", "row", "item_id", "n_item").agg(F.count(F.lit(1)).alias("n_shared")).drop("row")
+    return found.where(F.col("n_shared") * 100 >= F.col("n_item") * config.percent)
 
 
 def _keyed(docs: DataFrame) -> DataFrame:

@@ -136,6 +136,19 @@ def test_decontamination(spark, held):
     assert decontaminate.contained_items(table(spark, []), bench, config).count() == 0
 
 
+@pytest.mark.parametrize("held", [4_000_000, 0])
+def test_decontamination_by_item_rows(spark, held):
+    a, b, c = (prose(24, s) for s in (510, 511, 512))
+    half = [" ".join(x.split()[:14]) for x in (a, b)]  # 10 of 20 shingles
+    docs = [half[0], half[0] + " . " + half[1], prose(9, 513) + " " + c, a, a, prose(40, 514)]
+    bench = spark.createDataFrame([(1, a), (1, a), (2, a), (2, b), (None, c), (None, c), (None, b)], "item_id long, text string")
+    config = decontaminate.ContainmentConfig(held_most=held)
+    got = decontaminate.contained_items(table(spark, docs), bench, config).collect()
+    want = [(d, i, 20, 20, 1.0) for d in (3, 4) for i in (1, 1, 2)] + [(2, 0, 20, 20, 1.0)] * 2
+    assert sorted((r["doc_id"], r["item_id"] or 0, *r[2:]) for r in got) == sorted(want)
+    assert sorted(r["doc_id"] for r in decontaminate.without_items(table(spark, docs), bench, config).collect()) == [0, 1, 5]
+
+
 # --- 2: url filter ---
 
 
