@@ -330,7 +330,7 @@ _add("op_threshold", lambda s, d: _x5(s, d).where("v >= 2").df, f"SELECT * FROM
 for _h in ("merge", "shuffle_hash", "broadcast"):
     _add(f"op_join_{_h}", lambda s, d, h=_h: checksum(catalyst(_x1(s, d).t, _x1(s, d), hint=h)), _checksum(_X1tX1))
 _add("op_join_nested_loop", lambda s, d: table(s, d, "nation").join(F.broadcast(table(s, d, "region")), F.expr("n_regionkey < r_regionkey")).select(F.col("n_nationkey").alias("i"), F.col("r_regionkey").alias("j"), F.lit(True).alias("v")), "SELECT n_nationkey AS i, r_regionkey AS j, TRUE AS v FROM nation JOIN region ON n_regionkey < r_regionkey")
-_add("op_join_range_panels", lambda s, d: _mesh(s, d).df.join(F.broadcast(s.createDataFrame([(p, 37 * p, 37 * p + 36) for p in range(2000)], "panel bigint, lo bigint, hi bigint")), F.expr("j BETWEEN lo AND hi")).groupBy("panel").agg(F.count(F.lit(1)).alias("n")), f"SELECT panel, COUNT(*) AS n FROM ({_X6}) JOIN (SELECT p AS panel, 37 * p AS lo, 37 * p + 36 AS hi FROM range(2000) t(p)) ON j BETWEEN lo AND hi GROUP BY panel")
+_add("op_join_range_panels", lambda s, d: (lambda m: m.df.join(F.broadcast(s.range(-(-m.ncols // 37)).selectExpr("id AS panel", "37 * id AS lo", "37 * id + 36 AS hi")), F.expr("j BETWEEN lo AND hi")))(_mesh(s, d)).groupBy("panel").agg(F.count(F.lit(1)).alias("n")), f"SELECT panel, COUNT(*) AS n FROM ({_X6}) JOIN (SELECT p AS panel, 37 * p AS lo, 37 * p + 36 AS hi FROM range(2000) t(p)) ON j BETWEEN lo AND hi GROUP BY panel")
 _add("op_join_semi", lambda s, d: _x1(s, d).df.join(table(s, d, "part").where("p_brand = 'Brand#2'").select(F.col("p_partkey").alias("j")), "j", "left_semi").select("i", "j", "v"), f"SELECT * FROM ({_X1}) x WHERE EXISTS (SELECT 1 FROM part WHERE p_partkey = x.j AND p_brand = 'Brand#2')")
 _add("op_join_anti", lambda s, d: table(s, d, "part").select(F.col("p_partkey").alias("i")).join(datasets.part_supp(s, d).df.where("j = 1"), "i", "left_anti"), "SELECT p_partkey AS i FROM part WHERE NOT EXISTS (SELECT 1 FROM lineitem WHERE l_partkey = p_partkey AND l_suppkey = 1)")
 _add("op_join_full_outer", lambda s, d: _x4(s, d).ewise_add(_x4(s, d).t).df, f"SELECT i, j, CAST(SUM(v) AS BIGINT) AS v FROM (SELECT * FROM ({_X4}) UNION ALL SELECT * FROM ({_t(_X4)})) GROUP BY 1, 2")

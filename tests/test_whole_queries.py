@@ -45,3 +45,10 @@ def test_rectangular_product_has_all_rows(spark):
                 product[i, j] += x * y
     got = run(spark, "mm_grid2d_rect_whole", LITTLE)
     assert got == rows_of(product) and any(i % 10 for i in got)
+
+
+def test_panels_cover_every_column(spark, tmp_path):
+    spark.createDataFrame([(p,) for p in (5, 74_000, 74_001, 90_123)], "p_partkey long").write.parquet(f"{tmp_path}/part.parquet")
+    got = {k: v[0] for k, v in run(spark, "op_join_range_panels", tmp_path).items()}
+    cells = [p + d for p in (5, 74_000, 74_001, 90_123) for d in (0, 1, -1, 50, -50) if 0 <= p + d <= 90_123 and (abs(d) != 1 or p // 50 == (p + d) // 50)]
+    assert got == Counter(j // 37 for j in cells)
