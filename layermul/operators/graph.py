@@ -96,16 +96,19 @@ def betweenness_level(a: SparseMatrix, frontier: SparseMatrix, seen: SparseMatri
     return multiply(frontier, a.pattern(), plan="catalyst").mask(seen, complement=True)
 
 
-def betweenness(a: SparseMatrix, sources: list[int], longest: int = 64) -> DataFrame:
-    """(i, v): each vertex's share of shortest paths from the sources, by levels forward and back."""
+def betweenness(a: SparseMatrix, sources: list[int], longest: int | None = None) -> DataFrame:
+    """(i, v): each vertex's share of shortest paths from the sources, by levels forward and back.
+    With `longest`, longer paths raise ValueError."""
     spark = a.df.sparkSession
     front = SparseMatrix.rows_of(spark, [(s, v, 1) for s, v in enumerate(sources)], len(sources), a.nrows)
     levels, seen = [front], front
-    for _ in range(longest):
+    while True:
         nxt = betweenness_level(a, levels[-1], seen)
         nxt = nxt.with_df(materialize(nxt.df, "level"))
         if nxt.df.isEmpty():
             break
+        if longest is not None and len(levels) > longest:
+            raise ValueError(f"paths of more than {longest} edges")
         levels.append(nxt)
         seen = seen.with_df(materialize(seen.df.unionByName(nxt.df), "seen"))
     edges = a.df.select(F.col("i").alias("from"), F.col("j").alias("to"))

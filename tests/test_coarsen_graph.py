@@ -80,6 +80,13 @@ def test_betweenness_of_a_path(spark):
     assert got == {k: 2.0 * k * (6 - k) for k in range(1, 6)}
 
 
+def test_betweenness_of_long_paths_raises(spark):
+    a = undirected(spark, GRAPHS["path"][0], 7)
+    assert {r["i"]: r["v"] for r in graph.betweenness(a, [0], longest=6).collect()} == {k: 6.0 - k for k in range(1, 6)}
+    with pytest.raises(ValueError):
+        graph.betweenness(a, [0], longest=5)
+
+
 def test_clusters(spark):
     a = undirected(spark, [(0, 1), (1, 2), (0, 2), (3, 4), (4, 5), (3, 5)], 6)
     c = {r["i"]: r["c"] for r in graph.flow_clusters(a, rounds=6).collect()}

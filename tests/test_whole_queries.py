@@ -3,6 +3,7 @@
 import re
 from collections import Counter
 
+from layermul.sources import datasets
 from layermul.workloads import queries
 
 LITTLE = "/root/testdata/sf0.001"
@@ -52,3 +53,27 @@ def test_panels_cover_every_column(spark, tmp_path):
     got = {k: v[0] for k, v in run(spark, "op_join_range_panels", tmp_path).items()}
     cells = [p + d for p in (5, 74_000, 74_001, 90_123) for d in (0, 1, -1, 50, -50) if 0 <= p + d <= 90_123 and (abs(d) != 1 or p // 50 == (p + d) // 50)]
     assert got == Counter(j // 37 for j in cells)
+
+
+def test_betweenness_is_of_the_whole_graph(spark):
+    near, want = {}, Counter()
+    for i, j in datasets.next_part_sym(spark, LITTLE).df.select("i", "j").collect():
+        near.setdefault(i, []).append(j)
+    for source in (0, 3):
+        far, paths, order = {source: 0}, Counter({source: 1}), [source]
+        for x in order:
+            for y in near.get(x, []):
+                if y not in far:
+                    far[y] = far[x] + 1
+                    order.append(y)
+                if far[y] == far[x] + 1:
+                    paths[y] += paths[x]
+        through = Counter()
+        for x in reversed(order):
+            for y in near.get(x, []):
+                if far[y] == far[x] + 1:
+                    through[x] += paths[x] / paths[y] * (1 + through[y])
+            if x != source:
+                want[x] += through[x]
+    got = {r["i"]: r["v"] for r in queries()["betweenness"](spark, LITTLE).collect()}
+    assert len(want) > 100 and all(abs(got.get(i, 0) - v) < 1e-6 for i, v in want.items()) and set(got) <= set(want)
