@@ -68,7 +68,8 @@ def targets(rows: DataFrame, config: MixConfig) -> DataFrame:
 
 
 def _rank(u: Column, p: Column) -> Column:
-    """Random odds over inclusion odds, mapped into (0, 1) without changing the order."""
+    """Random odds over inclusion odds, mapped into (0, 1) without changing the order. p is one number
+    for all documents of a source, so within it the order is that of u."""
     key = (u / (1 - u)) * ((1 - p) / p)
     return key / (1 + key)
 
