@@ -16,7 +16,7 @@ from layermul.llm.decontaminate import without_items
 from layermul.llm.mixing import mixed_documents
 from layermul.llm.ngram_join import ngram_components
 from layermul.llm.quality import QualityConfig, train, with_score
-from layermul.llm.scratch import broadcast_if_small, materialize, table
+from layermul.llm.scratch import broadcast_if_small, counted, discard, materialize, table
 from layermul.llm.sharding import shard_of_rows, sharded
 
 
@@ -30,16 +30,17 @@ def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near duplicates: the one with the smallest doc_id. Of rows that
-    share this doc_id one stays, and rows without doc_id all stay."""
-    found = materialize(ngram_components(docs.select("doc_id", "text")), "groups")
-    gone = materialize(found.where("component_id <> doc_id").select("doc_id").distinct(), "groups-gone")
-    again = materialize(found.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").select("doc_id"), "groups-again")
-    kept = docs.join(broadcast_if_small(gone, gone.count()), "doc_id", "left_anti")
-    n = again.count()
-    if n == 0:
-        return kept.select(*docs.columns)
-    twice = broadcast_if_small(again, n)
-    one = kept.join(twice, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    share this doc_id the one that is least as JSON stays, and rows without doc_id all stay."""
+    found = ngram_components(docs.select("doc_id", "text"))
+    gone, n_gone = counted(found.where("component_id <> doc_id").select("doc_id").distinct(), "groups-gone")
+    again, n_again = counted(found.where("component_id = doc_id").groupBy("doc_id").count().where("count > 1").select("doc_id"), "groups-again")
+    discard(found)
+    kept = docs.join(broadcast_if_small(gone, n_gone), "doc_id", "left_anti").select(*docs.columns)
+    if n_again == 0:
+        return kept
+    twice = broadcast_if_small(again, n_again)
+    row = F.struct(*docs.columns)
+    one = kept.join(twice, "doc_id", "left_semi").groupBy("doc_id").agg(F.min_by(row, F.to_json(row)).alias("_kept")).select("_kept.*")
     return kept.join(twice, "doc_id", "left_anti").select(*docs.columns).unionByName(one.select(*docs.columns))
 
 
@@ -71,7 +72,10 @@ ORACLE_SQL: str | None = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    docs, before = table(spark, sf_dir, "documents"), None
     for name, stage in STAGES:
         docs = materialize(stage(spark, docs, sf_dir), f"stage-{name}")
+        if before is not None:
+            discard(before)
+        before = docs
     return docs

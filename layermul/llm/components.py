@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .scratch import materialize
+from .scratch import discard, observed
 
 
 def _directed(links: DataFrame) -> DataFrame:
@@ -32,12 +32,19 @@ def _small_star(links: DataFrame) -> DataFrame:
 def components(links: DataFrame, rounds: int = 60) -> DataFrame:
     """(node, component): for every node of links (u, v) the smallest node reachable. Raises if it has
     not settled after `rounds`; the number needed grows with the logarithm of the longest path."""
-    now = materialize(links.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u <> v").distinct(), "links")
-    mark = None
-    for _ in range(rounds):
-        now = materialize(_small_star(_large_star(now)), "links")
-        row = now.agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")).first()
-        if (row["n"], row["h"]) == mark:
-            return now.select(F.col("u").alias("node"), F.col("v").alias("component"))
-        mark = (row["n"], row["h"])
-    raise RuntimeError(f"components did not settle in {rounds} rounds")
+    measures = {"n": F.count(F.lit(1)), "h": F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))}
+    once = links.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u <> v").distinct()
+    now, mark = observed(once, "links", **measures)
+    for _ in range(rounds if mark["n"] else 0):
+        new, told = observed(_small_star(_large_star(now)), "links", **measures)
+        discard(now)
+        now = new
+        if told == mark:
+            break
+        mark = told
+    else:
+        if mark["n"]:
+            raise RuntimeError(f"components did not settle in {rounds} rounds")
+    out = now.select(F.col("u").alias("node"), F.col("v").alias("component"))
+    out._scratch_path, out.links = now._scratch_path, mark["n"]
+    return out

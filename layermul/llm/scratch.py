@@ -5,15 +5,19 @@ from __future__ import annotations
 import gc
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
-from layermul.session import fresh_path, reach_workers
+from layermul.session import discard, fresh_path, reach_workers
+
+__all__ = ["bound_arrow", "broadcast_if_small", "counted", "discard", "fresh_path", "materialize", "observed", "release", "table"]
 
 #: Rows of a narrow side that may be broadcast; larger sides are joined by shuffle.
 BROADCAST_ROWS = 1_000_000
 #: Bytes of rows that Spark hands to a Python worker at once.
 ARROW_BYTES = 8 << 20
+#: Share of the driver's heap in use from which finished phases are let go.
+HEAP_SHARE = 0.35
 
 
 def bound_arrow(spark: SparkSession) -> None:
@@ -30,12 +34,33 @@ def release(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+def _release_if_full(spark: SparkSession) -> None:
+    heap = spark.sparkContext._jvm.Runtime.getRuntime()
+    if heap.totalMemory() - heap.freeMemory() > HEAP_SHARE * heap.maxMemory():
+        release(spark)
+
+
+def observed(df: DataFrame, name: str, **measures: Column) -> tuple[DataFrame, dict]:
+    """df written once to the shared folder, as a reader of it, and aggregates of its rows, taken
+    while they were written. Later plans start from files that survive lost executors. Void columns
+    are not allowed in Parquet and must be cast before."""
+    spark, path = df.sparkSession, fresh_path(df.sparkSession, name)
+    seen = Observation() if measures else None
+    told = df.observe(seen, *[c.alias(k) for k, c in measures.items()]) if measures else df
+    told.write.option("compression", "zstd").parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._scratch_path = path
+    _release_if_full(spark)
+    return out, dict.fromkeys(measures) | seen.get if measures else {}
+
+
 def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Write df once to the shared folder and return a reader of it: later plans start from files
-    that survive lost executors. Void columns are not allowed in Parquet and must be cast before."""
-    path = fresh_path(df.sparkSession, name)
-    df.write.option("compression", "zstd").parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return observed(df, name)[0]
+
+
+def counted(df: DataFrame, name: str) -> tuple[DataFrame, int]:
+    out, told = observed(df, name, n=F.count(F.lit(1)))
+    return out, told["n"] or 0
 
 
 def broadcast_if_small(df: DataFrame, rows: int, bound: int = BROADCAST_ROWS) -> DataFrame:
