@@ -7,8 +7,10 @@ enough of the item can't miss, however long the document is. So the search loses
 document is probed whole, only documents with at least ceil(q * percent / 100) shingles are
 candidates of a size class, and each candidate is verified on the item's whole shingle set.
 
-Items are held by every worker while they have at most `held_most` shingles in all (counted before);
-a larger benchmark is searched by joins on the sketch hashes.
+Size classes are powers of two of the shingles that a document needs; each has a sketch table of its
+own, which texts too short for its smallest item are not looked up in. Items are held by every worker
+while they have at most `held_most` shingles in all (counted before); a larger benchmark is dealt by
+hash to as many parts as it takes, and the documents are searched once for each.
 
 Edge cases: null text is empty and contains nothing; an item without words is in no document; an
 item shorter than a shingle is one run of its own length and must stand in the document as such;
@@ -26,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .scratch import bound_arrow, materialize, table
+from .scratch import bound_arrow, discard, materialize, table
 from .textscan import ALNUM, find_words, grams, hash_words, shingles, small_batches, text_bytes
 
 RESULT = "doc_id long, item_id long, n_item long, n_shared long"
@@ -34,8 +36,8 @@ RESULT = "doc_id long, item_id long, n_item long, n_shared long"
 
 @dataclass(frozen=True)
 class ContainmentConfig:
-    """percent: of an item's shingles; words: of a shingle; held_most: shingles of all items that a
-    worker holds."""
+    """percent: of an item's shingles; words: of a shingle; held_most: shingles of items that a worker
+    holds at once, or one item if that has more."""
 
     percent: int = 80
     words: int = 5
@@ -65,8 +67,7 @@ def _item_sets(config: ContainmentConfig):
 def item_sets(items: DataFrame, config: ContainmentConfig) -> DataFrame:
     bound_arrow(items.sparkSession)
     rows = items.select(F.col("item_id").cast("long"), "text").mapInArrow(_item_sets(config), "item_id long, length long, hashes binary")
-    # `row` tells repeated rows and items of one or no item_id apart; once written it doesn't change
-    return materialize(rows.where("length > 0").withColumn("row", F.monotonically_increasing_id()), "items")
+    return materialize(rows.where("length > 0"), "items")
 
 
 def _sketch_size(q: np.ndarray | int, percent: int):
@@ -79,21 +80,30 @@ class _Searcher:
 
     def __init__(self, ids: list[int], lengths: list[int], sets: list[np.ndarray], config: ContainmentConfig):
         self.ids, self.sets, self.config = ids, sets, config
-        self.sizes = np.array([len(s) for s in sets], dtype=np.int64)
+        self.needs = np.array([-(-len(s) * config.percent // 100) for s in sets], dtype=np.int64)
         self.lengths = np.array(lengths, dtype=np.int64)
-        order = np.argsort(self.sizes, kind="stable")  # size partitions lie one after the other
-        sketch = [(sets[i][: _sketch_size(len(sets[i]), config.percent)], i) for i in order]
-        hashes = np.concatenate([h for h, _ in sketch]) if sketch else np.empty(0, np.uint64)
-        owner = np.concatenate([np.full(len(h), i) for h, i in sketch]) if sketch else np.empty(0, np.int64)
-        by = np.argsort(hashes, kind="stable")
-        self.hashes, self.owner = hashes[by], owner[by]
+        #: per class: the fewest shingles that one of its items needs, its sketch hashes in order, and whose they are
+        self.classes: list[tuple[int, np.ndarray, np.ndarray]] = []
         self.seen = np.zeros(1 << 22, bool)
-        self.seen[self.hashes >> np.uint64(42)] = True
-
-    def _probe(self, s: np.ndarray, text: np.ndarray, length_ok: np.ndarray) -> set[tuple[int, int]]:
+        size = np.array([int(n).bit_length() for n in self.needs], dtype=np.int64)
+        for c in np.unique(size):
+            own = np.flatnonzero(size == c)
+            sketch = [sets[i][: _sketch_size(len(sets[i]), config.percent)] for i in own]
+            hashes, owner = np.concatenate(sketch), np.repeat(own, [len(h) for h in sketch])
+            by = np.argsort(hashes, kind="stable")
+            self.classes.append((int(self.needs[own].min()), hashes[by], owner[by]))
+            self.seen[hashes >> np.uint64(42)] = True
+
+    def _probe(self, s: np.ndarray, text: np.ndarray, length_ok: np.ndarray, room: np.ndarray) -> set[tuple[int, int]]:
+        """(text, item) that share a sketch hash; room: shingles of each text."""
         maybe = np.flatnonzero(self.seen[s >> np.uint64(42)])
-        lo, hi = np.searchsorted(self.hashes, s[maybe], "left"), np.searchsorted(self.hashes, s[maybe], "right")
-        return {(int(t), int(i)) for a, b, t in zip(lo, hi, text[maybe], strict=True) if b > a for i in self.owner[a:b] if length_ok[i]}
+        out: set[tuple[int, int]] = set()
+        for need, hashes, owner in self.classes:
+            at = maybe[room[text[maybe]] >= need]
+            lo, hi = np.searchsorted(hashes, s[at], "left"), np.searchsorted(hashes, s[at], "right")
+            hit = np.flatnonzero(hi > lo)
+            out |= {(int(t), int(i)) for a, b, t in zip(lo[hit], hi[hit], text[at[hit]], strict=True) for i in owner[a:b] if length_ok[i]}
+        return out
 
     def search(self, column: pa.Array) -> list[tuple[int, int, int]]:
         """(row, item, shared shingles) of every contained item."""
@@ -103,9 +113,10 @@ class _Searcher:
         found = []
         full = self.lengths >= self.config.words
         distinct: dict[int, np.ndarray] = {}
-        for row, item in sorted(self._probe(s, text, full)):
+        room = np.diff(at)
+        for row, item in sorted(self._probe(s, text, full, room)):
             q = len(self.sets[item])
-            if at[row + 1] - at[row] < -(-q * self.config.percent // 100):
+            if room[row] < self.needs[item]:
                 continue
             if row not in distinct:
                 distinct = {row: np.unique(s[at[row] : at[row + 1]])}
@@ -114,18 +125,21 @@ class _Searcher:
                 found.append((row, item, shared))
         for length in np.unique(self.lengths[~full]):
             g, where = grams(words, bounds, int(length))
-            found += [(row, item, 1) for row, item in sorted(self._probe(g, where, self.lengths == length))]
+            found += [(row, item, 1) for row, item in sorted(self._probe(g, where, self.lengths == length, np.ones(len(column), np.int64)))]
         return found
 
 
-def _held(sets: DataFrame, config: ContainmentConfig) -> _Searcher | None:
-    """The items on the driver, if they are few enough."""
-    total = sets.agg(F.sum(F.octet_length("hashes") / 8).alias("n")).first()["n"] or 0
-    if total > config.held_most:
-        return None
-    rows = sets.toArrow()
-    hashes = [np.frombuffer(b, np.uint64) for b in rows.column("hashes").to_pylist()]
-    return _Searcher(rows.column("item_id").to_pylist(), rows.column("length").to_pylist(), hashes, config)
+def _searchers(sets: DataFrame, config: ContainmentConfig) -> Iterator[_Searcher]:
+    """The items in parts of about held_most shingles, one part at a time on the driver."""
+    facts = sets.agg(F.sum(F.octet_length("hashes") / 8).alias("shingles"), F.count(F.lit(1)).alias("items")).first()
+    total = facts["shingles"] or 0
+    parts = 1 if total <= config.held_most else min(facts["items"], -(-5 * int(total) // (4 * max(config.held_most, 1))))
+    dealt = F.pmod(F.xxhash64("hashes", F.coalesce("item_id", F.lit(-1))), F.lit(parts))
+    for p in range(parts):
+        rows = (sets if parts == 1 else sets.where(dealt == p)).toArrow()
+        if rows.num_rows or parts == 1:
+            hashes = [np.frombuffer(b, np.uint64) for b in rows.column("hashes").to_pylist()]
+            yield _Searcher(rows.column("item_id").to_pylist(), rows.column("length").to_pylist(), hashes, config)
 
 
 def _pairs(searcher: _Searcher) -> Callable:
@@ -151,74 +165,33 @@ def _clean(searcher: _Searcher) -> Callable:
     return run
 
 
-def _exploded(config: ContainmentConfig, lengths: list[int]):
-    """key, length, hash: the distinct shingles, and runs of the shorter lengths, of every text."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in small_batches(batches, "text", 1 << 20):
-            keys = batch.column(0).to_numpy()
-            words, bounds = _hashed(batch.column(1))
-            for length in lengths:
-                g, where = grams(words, bounds, length) if length < config.words else shingles(words, bounds, length)
-                if length >= config.words:
-                    where = np.repeat(np.arange(batch.num_rows), np.diff(where))
-                    enough = (np.diff(bounds) >= length)[where]
-                    g, where = g[enough], where[enough]
-                yield pa.RecordBatch.from_arrays([pa.array(keys[where]), pa.array(np.full(len(g), length)), pa.array(g.view(np.int64))], ["key", "length", "hash"])
-
-    return run
-
-
-def _item_rows(percent: int, sketch: bool):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for item, length, blob, row in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
-                h = np.frombuffer(blob, np.uint64)
-                q, h = len(h), h[: _sketch_size(len(h), percent)] if sketch else h
-                yield pa.RecordBatch.from_arrays([pa.array([item] * len(h), pa.int64()), pa.array([q] * len(h), pa.int64()), pa.array([length] * len(h), pa.int64()), pa.array(h.view(np.int64)), pa.array([row] * len(h), pa.int64())], ["item_id", "n_item", "length", "hash", "row"])
-
-    return run
-
-
-def _joined_pairs(docs: DataFrame, sets: DataFrame, config: ContainmentConfig) -> DataFrame:
-    """key, item_id, n_item, n_shared of every item row by joins, for benchmarks that no worker can hold. docs: key, text."""
-    lengths = [r["length"] for r in sets.select("length").distinct().collect()]  # 1 to words
-    schema = "item_id long, n_item long, length long, hash long, row long"
-    sketches, whole = (sets.mapInArrow(_item_rows(config.percent, s), schema) for s in (True, False))
-    runs = docs.dropDuplicates(["key"]).mapInArrow(_exploded(config, lengths), "key long, length long, hash long").distinct()
-    near = runs.join(sketches, ["length", "hash"]).select("key", "row").distinct()
-    both = near.join(whole, "row").join(runs, ["key", "length", "hash"])
-    found = both.groupBy("key", "row", "item_id", "n_item").agg(F.count(F.lit(1)).alias("n_shared")).drop("row")
-    return found.where(F.col("n_shared") * 100 >= F.col("n_item") * config.percent)
-
-
-def _keyed(docs: DataFrame) -> DataFrame:
-    return docs.withColumn("_key", F.xxhash64("doc_id", F.coalesce("text", F.lit(""))))
-
-
 def contained_items(docs: DataFrame, items: DataFrame, config: ContainmentConfig = ContainmentConfig()) -> DataFrame:
     """(doc_id, item_id, n_item, n_shared, containment) for every document that contains an item."""
     sets = item_sets(items, config)
     rows = docs.select(F.col("doc_id").cast("long"), "text")
-    searcher = _held(sets, config)
-    if searcher is not None:
-        found = rows.mapInArrow(_pairs(searcher), RESULT)
-    else:
-        keyed = _keyed(rows)
-        pairs = _joined_pairs(keyed.select(F.col("_key").alias("key"), F.coalesce("text", F.lit("")).alias("text")), sets, config)
-        found = keyed.select("doc_id", "_key").join(pairs, F.col("_key") == F.col("key")).select("doc_id", "item_id", "n_item", "n_shared")
+    found: DataFrame | None = None
+    for searcher in _searchers(sets, config):
+        if found is not None:  # the part before is written before the next one is read
+            found = materialize(found, "contained")
+        one = rows.mapInArrow(_pairs(searcher), RESULT)
+        found = one if found is None else found.unionByName(one)
+    discard(sets)
     return found.withColumn("containment", F.col("n_shared") / F.col("n_item"))
 
 
 def without_items(docs: DataFrame, items: DataFrame, config: ContainmentConfig = ContainmentConfig()) -> DataFrame:
     """The rows of docs, all columns, that contain no item."""
     sets = item_sets(items, config)
-    searcher = _held(sets, config)
-    if searcher is not None:
-        return docs.mapInArrow(_clean(searcher), docs.schema)
-    keyed = _keyed(docs)
-    pairs = _joined_pairs(keyed.select(F.col("_key").alias("key"), F.coalesce("text", F.lit("")).alias("text")), sets, config)
-    return keyed.join(pairs.select(F.col("key").alias("_key")).distinct(), "_key", "left_anti").select(*docs.columns)
+    left, before = docs, None
+    for searcher in _searchers(sets, config):
+        if left is not docs:
+            written = materialize(left, "without")
+            if before is not None:
+                discard(before)
+            left = before = written
+        left = left.mapInArrow(_clean(searcher), docs.schema)
+    discard(sets)
+    return left
 
 
 def op1_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -386,3 +386,29 @@ def test_equal_substrings_share_names():
     texts = [t.encode() for t in (x, "", "a", "ab" * 50, x)]
     many = fingerprint.sketches(texts)
     assert all((many[k] == fingerprint.sketch(t)).all() for k, t in enumerate(texts))
+
+
+def test_mixing_takes_by_inclusion_probability(spark):
+    """Sources with the same documents but other ids draw apart: rates over them come near the shares."""
+    sizes = [3, 9, 30, 70, 150] * 160
+    n_sources = 30
+    rows = spark.range(n_sources * len(sizes)).select(F.col("id").alias("doc_id"), F.format_string("s%03d", (F.col("id") / len(sizes)).cast("int")).alias("source"), F.lit(1).alias("target"), F.lit("kept").alias("whole"),
+                                                       F.element_at(F.array(*map(F.lit, sizes)), (F.col("id") % len(sizes) + 1).cast("int")).cast("long").alias("size"))
+    draw = (F.conv(F.substring(F.md5(F.col("doc_id").cast("string")), 1, 12), 16, 10).cast("double") + 0.5) / float(2**48)
+    rows = rows.withColumn("u", draw)
+    config = mixing.MixConfig()
+    plan = mixing.mix_plan(rows, config)
+    shares = {(r["source"], r["class"]): r["whole"] + r["share"] for r in plan.collect()}
+    mixed = mixing.mix(rows, plan, config)
+    assert mixed.columns == ["doc_id", "source", "whole", "size", "source_size", "target", "copies"]
+    got = {}
+    for r in mixed.collect():
+        assert r["whole"] == "kept" and r["target"] != 1
+        key = int(r["source"][1:]) % 3, r["size"].bit_length() - 1
+        want, n, total = got.get(key, (0.0, 0, 0))
+        got[key] = want + shares[r["source"], key[1]], n + 1, total + r["copies"]
+    for (kind, c), (want, n, total) in got.items():
+        assert total / n == pytest.approx(want / n, abs=0.04), (kind, c)
+    for kind in (0, 1):  # a long document is likelier to be taken
+        rates = [got[kind, c][2] / got[kind, c][1] for c in sorted(c for k, c in got if k == kind)]
+        assert rates == sorted(rates) and rates[-1] > 1.3 * rates[0]
