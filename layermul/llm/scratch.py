@@ -5,6 +5,7 @@ from __future__ import annotations
 import gc
 
 import pyarrow as pa
+from py4j.protocol import Py4JError
 from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,7 +18,7 @@ BROADCAST_ROWS = 1_000_000
 #: Bytes of rows that Spark hands to a Python worker at once.
 ARROW_BYTES = 8 << 20
 #: Share of the driver's heap in use from which finished phases are let go.
-HEAP_SHARE = 0.35
+HEAP_SHARE = 0.3
 
 
 def bound_arrow(spark: SparkSession) -> None:
@@ -32,9 +33,33 @@ def release(spark: SparkSession) -> None:
     gc.collect()
     pa.default_memory_pool().release_unused()
     spark.sparkContext._jvm.System.gc()
+    _trim_native(spark)
+
+
+def _trim_native(spark: SparkSession) -> None:
+    """Have the driver's JVM return native memory that it has freed to the system: its allocator keeps
+    hundreds of MB in the arenas of compiler and scheduler threads otherwise. A JVM without this
+    command (before JDK 17.0.9, or not on Linux) is left as it is."""
+    jvm, array = spark.sparkContext._jvm, spark.sparkContext._gateway.new_array
+    kind = jvm.java.lang.Class.forName
+    try:
+        if not hasattr(spark.sparkContext, "_layermul_trim"):
+            kinds = array(jvm.java.lang.Class, 4)
+            for n, name in enumerate(("javax.management.ObjectName", "java.lang.String", "[Ljava.lang.Object;", "[Ljava.lang.String;")):
+                kinds[n] = kind(name)
+            args = array(jvm.java.lang.Object, 4)
+            args[0], args[1] = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand"), "systemTrimNativeHeap"
+            args[2], args[3] = array(jvm.java.lang.Object, 0), array(jvm.java.lang.String, 0)
+            spark.sparkContext._layermul_trim = kind("javax.management.MBeanServer").getMethod("invoke", kinds), jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer(), args
+        if spark.sparkContext._layermul_trim:
+            method, server, args = spark.sparkContext._layermul_trim
+            method.invoke(server, args)
+    except Py4JError:
+        spark.sparkContext._layermul_trim = None
 
 
 def _release_if_full(spark: SparkSession) -> None:
+    _trim_native(spark)
     heap = spark.sparkContext._jvm.Runtime.getRuntime()
     if heap.totalMemory() - heap.freeMemory() > HEAP_SHARE * heap.maxMemory():
         release(spark)
