@@ -11,8 +11,9 @@ from pyspark.sql import functions as F
 
 from layermul.matrix import SparseMatrix
 from layermul.operators import coarsen, cost, kernels, merge
-from layermul.plans.grid import Grid
-from layermul.plans.multiply import catalyst, cell_points, grid2d, grid3d, oned
+from layermul.plans.grid import Grid, GridConfig
+from layermul.plans.multiply import catalyst, cell_points, grid2d, grid3d, layer_results, local_sql, oned
+from layermul.plans.planner import comm_asymptotic, measure
 from layermul.session import configure, materialize
 from layermul.sources.datasets import mesh_part
 from layermul.sources.generators import rmat, rmat_pair
@@ -104,42 +105,68 @@ def strong_scaling(session: SessionOf, sf_dir: str, cores: list[int]) -> Iterato
 
 
 def ct_sweep(session: SessionOf, sf_dir: str, cpus: int) -> Iterator[dict]:
-    """Layers against cells at a fixed number of 16 cells."""
+    """Layers against cells, and processes against their threads, at 16 workers in all."""
     spark = configure(session(cpus))
     for name, m in {"skewed12": rmat(spark, "skewed", 12), "mesh": mesh_part(spark, sf_dir)}.items():
-        yield from run_square(_held(m), [Grid(4, 4, 1), Grid(2, 2, 4), Grid(1, 1, 16)], name)
+        m = _held(m)
+        yield from run_square(m, [Grid(4, 4, 1), Grid(2, 2, 4), Grid(1, 1, 16)], name)
+        for layers, threads in ((1, 1), (1, 4), (4, 1), (4, 4), (16, 1)):
+            g = GridConfig(max(layers, 16 // threads), layers, threads)
+            yield _row("ct", name, f"grid3d,t={threads}", g.grid, cpus, value=_seconds(grid3d(m, m, g.grid, threads=threads).df))
     spark.stop()
 
 
 def kernel_scaling(session: SessionOf, sf_dir: str, cores: list[int]) -> Iterator[dict]:
+    """The kernels by threads, a skewed matrix and a mesh, against the routine in one task."""
     for c in cores:
         spark = configure(session(c))
-        m = _held(rmat(spark, "skewed", 10))
-        for plan, make in {"heap": lambda: kernels.heap_kernel(m, m, parts=c), "dense_acc": lambda: kernels.dense_acc_kernel(m, m, parts=c), "sql": lambda: catalyst(m, m)}.items():
-            yield _row("kernel", "skewed10", plan, cores=c, value=_seconds(make().df))
+        for name, m in {"skewed10": rmat(spark, "skewed", 10), "mesh": mesh_part(spark, sf_dir)}.items():
+            m = _held(m)
+            plans = {"heap": lambda: kernels.heap_kernel(m, m, parts=c), "dense_acc": lambda: kernels.dense_acc_kernel(m, m, parts=c), "column_sql": lambda: kernels.column_kernel_sql(m, m), "local_sql": lambda: local_sql(m, m)}  # noqa: B023
+            for plan, make in plans.items():
+                yield _row("kernel", name, plan, cores=c, value=_seconds(make().df))
         spark.stop()
 
 
 def merge_scaling(session: SessionOf, sf_dir: str, cores: list[int]) -> Iterator[dict]:
+    """The stage lists of one cell of a 4 x 4 and of a 16 x 16 grid, merged three ways."""
     for c in cores:
         spark = configure(session(c))
-        m = rmat(spark, "skewed", 11)
+        m = _held(rmat(spark, "skewed", 12))
         for k in (4, 16):
-            lists = materialize(merge.stage_lists(m, m, k), "lists")
-            for plan, f in {"kway": merge.kway_merge, "merge_then_reduce": merge.merge_then_reduce}.items():
-                yield _row("merge", f"skewed11/{k}", plan, cores=c, value=_seconds(f(lists)))
+            lists = materialize(merge.cell_stage_lists(m, m, Grid(k, k, 1)), "lists")
+            ways = {"kway": merge.kway_merge, "kway_heap": lambda x: merge.kway_merge_heap(x, c), "merge_then_reduce": merge.merge_then_reduce}  # noqa: B023
+            for plan, f in ways.items():
+                yield _row("merge", f"skewed12/{k}", plan, cores=c, value=_seconds(f(lists)))
         spark.stop()
 
 
 def breakdown(session: SessionOf, sf_dir: str, cpus: int) -> Iterator[dict]:
-    """Phases written down one by one: operands to their cells and products, then across layers."""
+    """Phases written down one by one, with the entries that each moves or makes: operands to their cells,
+    the join inside cells, combining there, and across layers."""
     spark = configure(session(cpus))
     m = _held(rmat(spark, "skewed", 12))
     for g in (Grid(4, 4, 1), Grid(2, 2, 4), Grid(1, 1, 16)):
-        yield _row("breakdown", "skewed12", "grid3d", g, cpus, "cells_and_join", value=_seconds(cell_points(m, m, g).agg(F.count(F.lit(1)))))
-        points = cell_points(m, m, g)
+        words = {r["phase"]: r["total"] for r in cost.words_moved(m, m, g).collect()}
+        for phase, n in words.items():
+            yield _row("breakdown", "skewed12", "grid3d", g, cpus, phase, "words", n)
+        joined = _seconds(cell_points(m, m, g).agg(F.count(F.lit(1))))
+        yield _row("breakdown", "skewed12", "grid3d", g, cpus, "broadcast_and_join", value=joined)
         began = time.perf_counter()
-        part = materialize(points.groupBy("cell", "i", "j").agg(F.sum(F.col("a") * F.col("b")).alias("v")), "partial")
-        yield _row("breakdown", "skewed12", "grid3d", g, cpus, "with_layer_merge", value=time.perf_counter() - began)
-        yield _row("breakdown", "skewed12", "grid3d", g, cpus, "fiber_merge", value=_seconds(merge.kway_merge(part)))
+        part = materialize(layer_results(m, m, g), "partial")
+        yield _row("breakdown", "skewed12", "grid3d", g, cpus, "local_multiply_and_layer_merge", value=max(0.0, time.perf_counter() - began - joined))
+        yield _row("breakdown", "skewed12", "grid3d", g, cpus, "all_to_all_and_fiber_merge", value=_seconds(merge.kway_merge(part)) if g.pl > 1 else 0.0)
+    spark.stop()
+
+
+def model_against_counts(session: SessionOf, sf_dir: str, cpus: int) -> Iterator[dict]:
+    """Words that the model gives from measured sizes, beside the words that are counted."""
+    spark = configure(session(cpus))
+    for name, m in {"skewed12": rmat(spark, "skewed", 12), "mesh": mesh_part(spark, sf_dir)}.items():
+        m = _held(m)
+        stats = measure(m, m)
+        for g in (Grid(4, 4, 1), Grid(2, 2, 4), Grid(1, 1, 16)):
+            counted = sum(r["total"] for r in cost.words_moved(m, m, g).collect())
+            yield _row("model", name, "grid3d", g, cpus, metric="words_counted", value=counted)
+            yield _row("model", name, "grid3d", g, cpus, metric="words_modelled", value=g.cells * comm_asymptotic(stats, g.cells, g.pl, 64)[1])
     spark.stop()

@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable, Iterable
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
@@ -165,3 +165,20 @@ class AffinePermutation:
     def inverse(self) -> AffinePermutation:
         back = pow(self.step, -1, self.n) if self.n > 1 else 0
         return AffinePermutation(self.n, back, -back * self.shift % max(self.n, 1))
+
+
+def digest_permutation(spark: SparkSession, n: int, seed: int = 42) -> DataFrame:
+    """(x, p): a bijection of 0 to n - 1 that keeps no structure: p is the place of x's digest among all.
+    Digests are ranked within runs of a common beginning, and the runs by their totals."""
+    digest = F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("id").cast("string")))
+    rows = spark.range(n).select(F.col("id").alias("x"), digest.alias("d"), F.substring(digest, 1, 3).alias("run"))
+    before = Window.orderBy("run").rowsBetween(Window.unboundedPreceding, -1)  # 4096 rows at most
+    runs = rows.groupBy("run").agg(F.count(F.lit(1)).alias("n")).select("run", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start"))
+    place = F.row_number().over(Window.partitionBy("run").orderBy("d", "x")) - 1
+    return rows.withColumn("place", place).join(F.broadcast(runs), "run").select("x", (F.col("start") + F.col("place")).cast("bigint").alias("p"))
+
+
+def permute_by(m: SparseMatrix, table: DataFrame) -> SparseMatrix:
+    """Rows and columns of a square matrix renumbered by a table (x, p)."""
+    rows, cols = table.toDF("i", "pi"), table.toDF("j", "pj")
+    return m.with_df(m.df.join(rows, "i").join(cols, "j").select(F.col("pi").alias("i"), F.col("pj").alias("j"), "v"))

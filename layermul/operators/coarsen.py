@@ -8,15 +8,16 @@ computes the same ones again.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from layermul.matrix import SparseMatrix
 from layermul.plans.multiply import catalyst
 from layermul.plans.planner import measure
+from layermul.semiring import PLUS_TIMES
 from layermul.session import materialize
 
-from .vector import mask_out
+from .vector import mask_out, mxv, places
 
 
 def md5_number(*parts: Column) -> Column:
@@ -80,7 +81,7 @@ def verify_independent_set(a: SparseMatrix, s: DataFrame, hops: int = 2) -> Data
 def restriction(a: SparseMatrix, s: DataFrame, seed: int = 42, average: bool = False) -> SparseMatrix:
     """n x |S|: each member's column holds it and its neighbours; other vertices go to a column drawn
     by digest. One entry in every row, of value 1, or with average 1 / column size."""
-    ranked = materialize(s.select("i", (F.row_number().over(Window.orderBy("i")) - 1).cast("bigint").alias("c")), "ranked")  # one row for each aggregate
+    ranked = materialize(places(s, "i", a.nrows).select("i", F.col("upto").alias("c")), "ranked")  # one row for each aggregate
     n = ranked.count()
     pattern = closed_pattern(a)
     near = pattern.join(ranked.withColumnRenamed("i", "j"), "j").groupBy("i").agg(F.min("c").alias("c"))
@@ -137,3 +138,19 @@ def hierarchy(a: SparseMatrix, smallest: int = 50, levels: int = 10, seed: int =
         coarse = galerkin(a, r, "auto")
         a = SparseMatrix(materialize(coarse.df, "coarse"), r.ncols, r.ncols)
     return [*out, (a, None)]
+
+
+def restrict_vector(r: SparseMatrix, x: DataFrame) -> DataFrame:
+    """(i, v) on the coarse vertices: Rᵀ x."""
+    return mxv(r.t, x, PLUS_TIMES)
+
+
+def prolong_vector(r: SparseMatrix, x: DataFrame) -> DataFrame:
+    """(i, v) on the fine vertices: R x."""
+    return mxv(r, x, PLUS_TIMES)
+
+
+def residual(a: SparseMatrix, x: DataFrame, b: DataFrame) -> DataFrame:
+    """(i, v) of b - A x, with entries wherever either has one."""
+    both = b.select("i", "v").unionByName(mxv(a, x, PLUS_TIMES).select("i", (-F.col("v")).alias("v")))
+    return both.groupBy("i").agg(F.sum("v").alias("v"))

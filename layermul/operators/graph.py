@@ -17,8 +17,16 @@ def triangles(a: SparseMatrix) -> DataFrame:
     return multiply(low, low, PLUS_PAIR, "catalyst", mask=low).df.agg(F.coalesce(F.sum("v"), F.lit(0)).cast("bigint").alias("triangles"))
 
 
+#: What leaves a value as it is when multiplied.
+_ONES = {"plus_times": 1, "max_times": 1, "min_plus": 0, "or_and": True}
+
+
 def power(a: SparseMatrix, k: int, semiring: Semiring) -> SparseMatrix:
-    """a to the k over a semiring, by squaring."""
+    """a to the k over a semiring, by squaring; to the 0 the semiring's identity, where it has one."""
+    if k == 0:
+        if semiring.name not in _ONES:
+            raise ValueError(f"{semiring.name} has no identity here")
+        return SparseMatrix.eye(a.df.sparkSession, a.nrows).apply(lambda v: F.lit(_ONES[semiring.name]).cast(a.df.schema["v"].dataType))
     out, base = None, a
     while k:
         if k & 1:

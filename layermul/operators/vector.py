@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from layermul.matrix import SparseMatrix
@@ -35,3 +35,27 @@ def ewise_mult(u: DataFrame, v: DataFrame, f: Callable[[Column, Column], Column]
 def mask_out(u: DataFrame, v: DataFrame) -> DataFrame:
     """u without the indices of v."""
     return u.join(v.select("i"), "i", "left_anti")
+
+
+def running(df: DataFrame, key: str, n: int, value: Column, chunks: int = 1024) -> DataFrame:
+    """df with `upto`: the sum of value over all rows of smaller key (0 to n - 1, distinct). Sums within
+    runs of keys, and over the few run totals: no window holds more than a run."""
+    run = F.call_function("div", F.col(key), F.lit(max(1, -(-n // chunks))).cast("bigint"))
+    rows = df.withColumn("_run", run).withColumn("_value", value)
+    within = Window.partitionBy("_run").orderBy(key).rowsBetween(Window.unboundedPreceding, -1)
+    before = Window.orderBy("_run").rowsBetween(Window.unboundedPreceding, -1)
+    totals = rows.groupBy("_run").agg(F.sum("_value").alias("_total")).select("_run", F.coalesce(F.sum("_total").over(before), F.lit(0)).alias("_before"))
+    told = rows.withColumn("_within", F.coalesce(F.sum("_value").over(within), F.lit(0))).join(F.broadcast(totals), "_run")  # as many rows as runs
+    return told.select(*df.columns, (F.col("_before") + F.col("_within")).cast("bigint").alias("upto"))
+
+
+def places(df: DataFrame, key: str, n: int) -> DataFrame:
+    """df with `upto`: how many rows have a smaller key."""
+    return running(df, key, n, F.lit(1))
+
+
+def tiles(df: DataFrame, key: str, n: int, parts: int) -> DataFrame:
+    """df with `tile`, 1 to parts: equal runs of the keys in order, the first ones a row longer."""
+    rows = places(df, key, n).join(F.broadcast(df.agg(F.count(F.lit(1)).alias("_all"))))  # one row
+    return rows.select(*df.columns, F.expr(f"""cast(if(upto < (_all % {parts}) * (_all div {parts} + 1), upto div (_all div {parts} + 1),
+        _all % {parts} + (upto - (_all % {parts}) * (_all div {parts} + 1)) div greatest(_all div {parts}, 1)) + 1 as bigint)""").alias("tile"))

@@ -94,17 +94,41 @@ def partition_keys(n: int) -> list[int]:
     return [out[p] for p in range(n)]
 
 
+@dataclass(frozen=True)
+class GridConfig:
+    """workers processes of `threads` threads each, in `layers` layers: the pair that is tuned."""
+
+    workers: int
+    layers: int = 1
+    threads: int = 1
+
+    @property
+    def grid(self) -> Grid:
+        """The squarest grid of at most workers / layers cells in each layer."""
+        cells = max(1, self.workers // self.layers)
+        pr = int(cells**0.5)
+        return Grid(pr, max(1, cells // pr), self.layers)
+
+
+def refined(grid: Grid, n: int) -> Grid:
+    """A grid of one layer cut on until it has n cells at least, the coarser side first."""
+    pr, pc = grid.pr, grid.pc
+    while pr * pc < n:
+        pr, pc = (pr, 2 * pc) if pc <= pr else (2 * pr, pc)
+    return Grid(pr, pc, grid.pl)
+
+
 def threads_per_cell(spark: SparkSession, grid: Grid) -> int:
     """Sub-splits of a cell, so that all cells together fill the session's shuffle partitions: with
     fewer, Spark would deal out anew to gain parallelism."""
     return max(1, -(-int(spark.conf.get("spark.sql.shuffle.partitions")) // grid.cells))
 
 
-def to_cells(df: DataFrame, gi: Column, gj: Column, gl: Column, k: Column, grid: Grid, threads: int) -> DataFrame:
-    """df with the column cell, an integer whose hash partition is the entry's cell and sub-split,
-    dealt out by it. The inner index decides the sub-split, so both operands agree on it."""
+def to_cells(df: DataFrame, gi: Column, gj: Column, gl: Column, part: Column, grid: Grid, threads: int) -> DataFrame:
+    """df with the column cell, an integer whose hash partition is the entry's cell and sub-split `part`,
+    dealt out by it."""
     keys = F.array(*[F.lit(x) for x in partition_keys(grid.cells * threads)])
-    number = ((gi * grid.pc + gj) * grid.pl + gl) * threads + F.pmod(k, F.lit(threads).cast("bigint"))
+    number = ((gi * grid.pc + gj) * grid.pl + gl) * threads + part
     return df.withColumn("cell", F.element_at(keys, (number + 1).cast("int"))).repartition(grid.cells * threads, "cell")
 
 

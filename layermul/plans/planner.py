@@ -3,14 +3,14 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
-from math import log2, sqrt
+from math import expm1, log2, sqrt
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from layermul.matrix import SparseMatrix
 
-from .grid import Grid
+from .grid import Grid, GridConfig
 
 #: Entries of an operand that may be sent whole to every worker (24 bytes each).
 BROADCAST_ENTRIES = 400_000
@@ -71,29 +71,38 @@ def overlap_gain(share: float) -> float:
     return 1 / max(share, 1 - share)
 
 
+def layer_entries(s: ProductStats, layers: int) -> float:
+    """Entries of all layers' results, if products fall on the result's entries evenly. Where the size
+    of the result isn't known, products fall evenly on all places."""
+    places = s.nnz_c if s.nnz_c is not None else -(float(s.nrows) * s.ncols) * expm1(-s.flops / max(1.0, float(s.nrows) * s.ncols))
+    return 0.0 if not places else min(float(s.flops), -layers * places * expm1(-s.flops / layers / places))
+
+
 def shuffle_words(s: ProductStats, grid: Grid) -> float:
     """Entries that cross a shuffle in grid3d: fanned-out operands, and partial results if there is
     more than one layer."""
-    return s.nnz_a * grid.pc + s.nnz_b * grid.pr + (s.flops if grid.pl > 1 else 0)
+    return s.nnz_a * grid.pc + s.nnz_b * grid.pr + (layer_entries(s, grid.pl) if grid.pl > 1 else 0)
 
 
-def grid_for(workers: int, layers: int) -> Grid:
-    """The squarest grid of at most workers / layers cells in each layer."""
-    cells = max(1, workers // layers)
-    pr = int(sqrt(cells))
-    return Grid(pr, max(1, cells // pr), layers)
+def oned_words(s: ProductStats, workers: int) -> float:
+    """A once to its rows' workers, its distinct inner indices by worker, and B's rows to those that want them."""
+    rows = max(1.0, float(s.inner))
+    wanting = -workers * expm1(-s.nnz_a / rows / workers)  # workers that want a row of B, on average
+    return s.nnz_a + (rows + s.nnz_b) * wanting
 
 
 def choose_plan(s: ProductStats, workers: int) -> tuple[str, Grid | None]:
-    """The plan that sends the fewest entries: B to all workers if it is small (its size has been
-    counted), else one-dimensional by inner index (operands once, all products), or a grid."""
-    if s.nnz_b <= BROADCAST_ENTRIES:
-        return "oned_broadcast", None
-    costs = {("catalyst", None): s.nnz_a + s.nnz_b + s.flops}
-    for layers in (1, 2, 4, 8, 16):
-        if layers <= workers:
-            g = grid_for(workers, layers)
-            costs["grid3d" if layers > 1 else "grid2d", g] = shuffle_words(s, g)
+    """The plan that sends the fewest entries: a small operand (its size has been counted) whole to all
+    workers, else Spark's own (every partition of the inner index is a layer of one cell), rows with
+    the parts of B that they want, or a grid of some number of layers."""
+    if min(s.nnz_a, s.nnz_b) <= BROADCAST_ENTRIES:
+        return ("oned_broadcast" if s.nnz_b <= s.nnz_a else "oned_broadcast_a"), None
+    costs = {("catalyst", None): s.nnz_a + s.nnz_b + layer_entries(s, workers), ("oned", None): oned_words(s, workers)}
+    layers = 1
+    while layers < workers:
+        g = GridConfig(workers, layers).grid
+        costs["grid3d" if layers > 1 else "grid2d", g] = shuffle_words(s, g)
+        layers *= 2
     return min(costs, key=costs.get)
 
 

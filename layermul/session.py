@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import re
 import tempfile
 import uuid
 from pathlib import Path
@@ -28,9 +29,12 @@ def configure(spark: SparkSession) -> SparkSession:
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; a new temporary one only where it is unset (tests)."""
+    """The folder in spark.checkpoint.dir. Only a local session, whose workers share this machine, gets a
+    temporary one where that is unset; on a cluster it must be set."""
     root = spark.conf.get("spark.checkpoint.dir", None) or getattr(spark, "_layermul_scratch", None)
     if not root:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         root = spark._layermul_scratch = tempfile.mkdtemp(prefix="layermul-")
     return root.rstrip("/")
 

@@ -58,9 +58,14 @@ def read_blocks(spark: SparkSession, path: str, nrows: int, ncols: int, rows: li
     return SparseMatrix(df.select("i", "j", "v"), nrows, ncols)
 
 
-def save_bucketed(m: SparseMatrix, name: str, buckets: int = 16, by: str = "j") -> None:
+def save_bucketed(m: SparseMatrix, name: str, buckets: int = 16, by: str = "j", path: str | None = None) -> None:
     """A table bucketed and sorted by an index: products on it join without a shuffle of this side."""
-    m.df.write.bucketBy(buckets, by).sortBy(by, "i" if by == "j" else "j").mode("overwrite").saveAsTable(name)
+    writer = m.df.write.bucketBy(buckets, by).sortBy(by, "i" if by == "j" else "j").mode("overwrite")
+    (writer.option("path", path) if path else writer).saveAsTable(name)
+
+
+def load_bucketed(spark: SparkSession, name: str, nrows: int, ncols: int) -> SparseMatrix:
+    return SparseMatrix(spark.table(name).select("i", "j", "v"), nrows, ncols)
 
 
 class RmatSource(DataSource):

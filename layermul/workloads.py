@@ -13,10 +13,10 @@ from pyspark.sql import functions as F
 
 from layermul.functions.sqlapi import product_sql, register, sql_multiply
 from layermul.functions.udfs import user_semiring
-from layermul.matrix import AffinePermutation, SparseMatrix
+from layermul.matrix import AffinePermutation, SparseMatrix, digest_permutation, permute_by
 from layermul.operators import coarsen, cost, graph, kernels, layout, merge, vector
 from layermul.plans.grid import Grid, owner_a, owner_bhat
-from layermul.plans.multiply import catalyst, grid2d, grid3d, multiply, oned
+from layermul.plans.multiply import catalyst, grid2d, grid3d, heavy_inner, local_sql, multiply, oned
 from layermul.plans.planner import ProductStats, estimate_nnz_c, measure, model_sweep
 from layermul.semiring import MAX_MIN, MIN_FIRST, MIN_PLUS, MIN_SECOND, OR_AND, PLUS_PAIR, PLUS_TIMES, SEMIRINGS, Semiring
 from layermul.session import configure, fresh_path
@@ -133,6 +133,24 @@ _add("dcsc_columns", lambda s, d: layout.to_dcsc(_x1(s, d)).columns(100, 200).ma
 _add("every_column", lambda s, d: layout.every_column(_x4(s, d)).select("j", F.size("entries").cast("bigint").alias("n")), f"SELECT k AS j, COALESCE(n, 0) AS n FROM (SELECT unnest(range({_N_PART})) AS k) LEFT JOIN (SELECT j, COUNT(*) AS n FROM ({_X4}) GROUP BY j) ON j = k")
 _add("aux_index", lambda s, d: layout.aux_index(layout.to_dcsc(_x1(s, d)), 64), f"SELECT j // 64 AS chunk, COUNT(DISTINCT j) AS n, MIN(j) AS lo, MAX(j) AS hi FROM ({_X1}) GROUP BY 1")
 
+_Q6 = f"SELECT i, j, v * 0.25::DOUBLE AS v FROM ({_X6})"  # quarters: sums are exact in any order
+_Q6Q6 = f"SELECT a.i, b.j, SUM(a.v * b.v) AS v FROM ({_Q6}) a JOIN ({_Q6}) b ON a.j = b.i GROUP BY a.i, b.j"
+
+
+def _quarters(s, d) -> SparseMatrix:
+    return _mesh(s, d).apply(lambda v: v * F.lit(0.25))
+
+
+_add("kernel_heap_double", lambda s, d: (lambda m: kernels.heap_kernel(m, m, Grid(2, 2, 2)).df)(_quarters(s, d)), _Q6Q6)
+_add("kernel_dense_acc_double", lambda s, d: (lambda m: kernels.dense_acc_kernel(m, m, Grid(2, 2, 2)).df)(_quarters(s, d)), _Q6Q6)
+_add("kernel_column_sql_double", lambda s, d: (lambda m: kernels.column_kernel_sql(m, m).df)(_quarters(s, d)), _Q6Q6)
+_add("kway_merge_heap_double", lambda s, d: (lambda m: merge.kway_merge_heap(merge.stage_lists(m, m, 4)))(_quarters(s, d)), _Q6Q6)
+_add("mm_local_sql", lambda s, d: local_sql(_mesh(s, d), _mesh(s, d)).df, _X6X6)
+_add("mm_grid3d_hubs", lambda s, d: (lambda m: checksum(grid3d(m, m, Grid(1, 1, 2), threads=8, hubs=heavy_inner(m, m, 64))))(rmat(s, "skewed", 10)), _checksum(_product(_R10, _R10)))
+for _w in (4, 16):
+    _add(f"kway_merge_cell_{_w}x{_w}", lambda s, d, w=_w: (lambda m: checksum(SparseMatrix(merge.kway_merge(merge.cell_stage_lists(m, m, Grid(w, w, 1))), 1024, 1024)))(rmat(s, "skewed", 10)),
+         _checksum(f"SELECT * FROM ({_product(_R10, _R10)}) WHERE i < {1024 // _w} AND j < {1024 // _w}"))
+
 # --- measures --------------------------------------------------------------------------------------
 
 _FLOPS = "SELECT CAST(COALESCE(SUM(na * nb), 0) AS BIGINT) AS flops FROM (SELECT j AS k, COUNT(*) AS na FROM ({a}) GROUP BY 1) JOIN (SELECT i AS k, COUNT(*) AS nb FROM ({b}) GROUP BY 1) USING (k)"
@@ -201,6 +219,10 @@ def _permuted(s, d):
 _add("permute", lambda s, d: _permuted(s, d).df, _X6P)
 _add("permute_product", lambda s, d: (lambda m: multiply(m, m, plan="grid3d").unpermute(AffinePermutation.near(m.nrows)).df)(_permuted(s, d)), _X6X6)
 _add("imbalance_permuted", lambda s, d: cost.imbalance(_permuted(s, d), _permuted(s, d), Grid(4, 4, 1)), f"SELECT CAST(16 AS BIGINT) AS cells, CAST(SUM(flops) AS BIGINT) AS flops, MAX(flops) AS max_flops FROM ({_work_sql(_X6P, _N_PART, Grid(4, 4, 1))})")
+_XD = f"(WITH k AS MATERIALIZED (SELECT x, row_number() OVER (ORDER BY md5('42:' || x), x) - 1 AS p FROM (SELECT unnest(range({_N_PART})) AS x)) SELECT r.p AS i, c.p AS j, v FROM ({_X6}) JOIN k r ON i = r.x JOIN k c ON j = c.x)"
+_digested = lambda s, d: (lambda m: permute_by(m, digest_permutation(s, m.nrows)))(_mesh(s, d))
+_add("permute_digest", lambda s, d: _digested(s, d).df, f"SELECT * FROM {_XD}")
+_add("imbalance_digest", lambda s, d: (lambda m: cost.imbalance(m, m, Grid(4, 4, 1)))(_digested(s, d)), f"SELECT CAST(16 AS BIGINT) AS cells, CAST(SUM(flops) AS BIGINT) AS flops, MAX(flops) AS max_flops FROM ({_work_sql(f'SELECT * FROM {_XD}', _N_PART, Grid(4, 4, 1))})")
 _add("profile", lambda s, d: cost.profile(_mesh(s, d)), f"SELECT {_N_PART} AS nrows, {_N_PART} AS ncols, COUNT(*) AS nnz, COUNT(DISTINCT i) AS rows, COUNT(DISTINCT j) AS cols, TRUE AS symmetric FROM ({_X6})")
 _add("profile_unsymmetric", lambda s, d: cost.profile(_x4(s, d)), f"SELECT {_N_PART} AS nrows, {_N_PART} AS ncols, COUNT(*) AS nnz, COUNT(DISTINCT i) AS rows, COUNT(DISTINCT j) AS cols, FALSE AS symmetric FROM ({_X4})")
 _G = Grid(2, 2, 4)
@@ -215,7 +237,8 @@ _MODEL = f"""SELECT CAST(p AS BIGINT) AS p, CAST(c AS BIGINT) AS c, CAST(b AS BI
       FROM (VALUES (16), (64), (256)) x(p), (VALUES (1), (4), (16)) y(c), (VALUES (64), (1024)) z(b) WHERE c <= p))"""
 _add("comm_model", lambda s, d: model_sweep(s, _STATS, *_PCB), _MODEL)
 _add("plan_measures", lambda s, d: (lambda m: s.createDataFrame([(m.nnz_a, m.nnz_b, m.flops)], "nnz_a bigint, nnz_b bigint, flops bigint"))(measure(_x4(s, d), _x4(s, d))), f"SELECT * FROM (SELECT COUNT(*) AS nnz_a, COUNT(*) AS nnz_b FROM ({_X4})), ({_FLOPS.format(a=_X4, b=_X4)})")
-_add("estimate_nnz", lambda s, d: estimate_nnz_c(_x4(s, d), _x4(s, d)).agg(F.count(F.lit(1)).alias("columns"), F.sum("estimate").alias("estimate")), None)
+_add("estimate_nnz", lambda s, d: (lambda e, c: e.join(c).select("columns", (F.abs(F.col("estimate") - F.col("nnz")) <= 0.1 * F.col("nnz")).alias("near")))(estimate_nnz_c(_x4(s, d), _x4(s, d)).agg(F.count(F.lit(1)).alias("columns"), F.sum("estimate").alias("estimate")), catalyst(_x4(s, d), _x4(s, d)).df.agg(F.count(F.lit(1)).alias("nnz"))),
+     f"SELECT COUNT(DISTINCT j) AS columns, TRUE AS near FROM ({_product(_X4, _X4)})")
 _add("nnz_rollup", lambda s, d: cost.nnz_by_cell(_mesh(s, d), _G, "rollup"), f"SELECT gi, gj, gl, COUNT(*) AS nnz FROM (SELECT {', '.join(f'{x} AS {y}' for x, y in zip(_owner(_N_PART, _G), ('gi', 'gj', 'gl'), strict=True))} FROM ({_X6})) GROUP BY ROLLUP (gi, gj, gl)")
 _add("nnz_cube", lambda s, d: cost.nnz_by_cell(_mesh(s, d), _G, "cube"), f"SELECT gi, gj, gl, COUNT(*) AS nnz FROM (SELECT {', '.join(f'{x} AS {y}' for x, y in zip(_owner(_N_PART, _G), ('gi', 'gj', 'gl'), strict=True))} FROM ({_X6})) GROUP BY CUBE (gi, gj, gl)")
 
@@ -288,6 +311,12 @@ _add("contract", lambda s, d: (lambda a: (lambda r: coarsen.contract(a, r.df.sel
 _add("product_report", lambda s, d: (lambda a: cost.product_report({"mesh": (a, _r(s, a))}))(_mesh(s, d)), f"{_WITH} " + " UNION ALL ".join(f"SELECT 'mesh' AS matrix, '{w}' AS what, COUNT(*) AS nnz FROM ({q})" for w, q in {"A": _A, "AA": _product(_A, _A), "R": _R, "RtA": _product(_RT, _A), "RtAR": _product(_product(_RT, _A), _R)}.items()))
 _add("hierarchy", lambda s, d: (lambda lv: s.createDataFrame([(n, a.nrows) for n, (a, _) in enumerate(lv)], "level bigint, n bigint"))(coarsen.hierarchy(_mesh(s, d), 100, 2)), None)
 
+_MESHX = f"SELECT a.i, SUM(a.v * x.v) AS v FROM ({_X6}) a JOIN ({_V}) x ON a.j = x.i GROUP BY a.i"
+_add("residual", lambda s, d: coarsen.residual(_mesh(s, d), _sizes(s, d), _sizes(s, d)), f"SELECT i, CAST(SUM(v) AS BIGINT) AS v FROM (SELECT i, v FROM ({_V}) UNION ALL SELECT i, -v FROM ({_MESHX})) GROUP BY i")
+_RX = f"SELECT r.j AS i, CAST(SUM(r.v * x.v) AS BIGINT) AS v FROM r JOIN ({_V}) x ON r.i = x.i GROUP BY r.j"
+_add("restrict_vector", lambda s, d: coarsen.restrict_vector(_r(s, _mesh(s, d)), _sizes(s, d)), f"WITH {_MESH_R} {_RX}")
+_add("prolong_vector", lambda s, d: (lambda r: coarsen.prolong_vector(r, coarsen.restrict_vector(r, _sizes(s, d))))(_r(s, _mesh(s, d))), f"WITH {_MESH_R} SELECT r.i, CAST(SUM(r.v * y.v) AS BIGINT) AS v FROM r JOIN ({_RX}) y ON r.j = y.i GROUP BY r.i")
+
 # --- graph functions and products around them ------------------------------------------------------
 
 _add("split_diag", lambda s, d: (lambda m: (lambda p: p[0].df.withColumn("part", F.lit("d")).unionByName(p[1].df.withColumn("part", F.lit("o"))).groupBy("part").agg(F.count(F.lit(1)).alias("n"), F.sum("v").alias("total")))(m.split_diagonal()))(_mesh(s, d)), f"SELECT CASE WHEN i = j THEN 'd' ELSE 'o' END AS part, COUNT(*) AS n, CAST(SUM(v) AS BIGINT) AS total FROM ({_X6}) GROUP BY 1")
@@ -360,7 +389,7 @@ _add("op_interval_coactivity", _coactivity, "SELECT a.user_id AS i, b.user_id AS
 _add("op_agg_hash", lambda s, d: _x1(s, d).df.groupBy("i").agg(F.count(F.lit(1)).alias("n"), F.sum("v").alias("v")), f"SELECT i, COUNT(*) AS n, CAST(SUM(v) AS BIGINT) AS v FROM ({_X1}) GROUP BY i")
 _add("op_agg_sort", lambda s, d: _x1(s, d).df.groupBy("i").agg(F.array_join(F.array_sort(F.collect_list("j")), ",").alias("js")), f"SELECT i, string_agg(CAST(j AS VARCHAR), ',' ORDER BY j) AS js FROM ({_X1}) GROUP BY i")
 _add("op_agg_distinct", lambda s, d: _x1(s, d).df.agg(F.countDistinct("i").alias("rows"), F.countDistinct("j").alias("cols")), f"SELECT COUNT(DISTINCT i) AS rows, COUNT(DISTINCT j) AS cols FROM ({_X1})")
-_add("op_agg_approx", lambda s, d: catalyst(_x4(s, d), _x4(s, d)).df.agg(F.approx_count_distinct(F.struct("i", "j"), 0.02).alias("nnz")), None)
+_add("op_agg_approx", lambda s, d: catalyst(_x4(s, d), _x4(s, d)).df.agg(F.count(F.lit(1)).alias("nnz"), F.approx_count_distinct(F.struct("i", "j"), 0.02).alias("about")).select("nnz", (F.abs(F.col("about") - F.col("nnz")) <= 0.08 * F.col("nnz")).alias("near")), f"SELECT COUNT(*) AS nnz, TRUE AS near FROM ({_product(_X4, _X4)})")
 _add("op_grouping_sets", lambda s, d: (datasets.part_supp(s, d).df.createOrReplaceTempView("layermul_gs"), s.sql("SELECT i div 1000 AS a, j div 10 AS b, CAST(grouping_id() AS BIGINT) AS g, COUNT(*) AS n FROM layermul_gs GROUP BY GROUPING SETS ((i div 1000, j div 10), (i div 1000), ())"))[1], f"SELECT a, b, CASE WHEN grouping(a) = 1 THEN 3 WHEN grouping(b) = 1 THEN 1 ELSE 0 END::BIGINT AS g, COUNT(*) AS n FROM (SELECT i // 1000 AS a, j // 10 AS b FROM ({SQL['part_supp']})) GROUP BY GROUPING SETS ((a, b), (a), ())")
 _BRANDS = "SELECT p_brand AS brand, p_type AS type, COUNT(*) AS n FROM ({0}) JOIN part ON p_partkey = i GROUP BY {1} (p_brand, p_type)"
 for _k in ("rollup", "cube"):
@@ -368,8 +397,8 @@ for _k in ("rollup", "cube"):
 _add("op_window_rank", lambda s, d: _x1(s, d).df.withColumn("k", F.row_number().over(Window.partitionBy("i").orderBy(F.desc("v"), "j"))).where("k <= 3"), f"SELECT * FROM (SELECT i, j, v, row_number() OVER (PARTITION BY i ORDER BY v DESC, j) AS k FROM ({_X1})) WHERE k <= 3")
 _add("op_topk_col", lambda s, d: _x1(s, d).df.withColumn("k", F.rank().over(Window.partitionBy("j").orderBy(F.desc("v")))).where("k <= 2").select("i", "j", "v"), f"SELECT i, j, v FROM (SELECT i, j, v, rank() OVER (PARTITION BY j ORDER BY v DESC) AS k FROM ({_X1})) WHERE k <= 2")
 _add("op_window_dense_rank", lambda s, d: _x4(s, d).df.select("i", "j", (F.dense_rank().over(Window.partitionBy("i").orderBy("v")) - 1).cast("bigint").alias("r")), f"SELECT i, j, dense_rank() OVER (PARTITION BY i ORDER BY v) - 1 AS r FROM ({_X4})")
-_add("op_window_prefix", lambda s, d: _x1(s, d).df.groupBy("j").agg(F.count(F.lit(1)).alias("n")).select("j", F.coalesce(F.sum("n").over(Window.orderBy("j").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("start")), f"SELECT j, CAST(COALESCE(SUM(n) OVER (ORDER BY j ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS start FROM (SELECT j, COUNT(*) AS n FROM ({_X1}) GROUP BY j)")
-_add("op_window_ntile", lambda s, d: _x1(s, d).df.select("j").distinct().select("j", F.ntile(16).over(Window.orderBy("j")).cast("bigint").alias("part")), f"SELECT j, ntile(16) OVER (ORDER BY j) AS part FROM (SELECT DISTINCT j FROM ({_X1}))")
+_add("op_window_prefix", lambda s, d: (lambda m: vector.running(m.df.groupBy("j").agg(F.count(F.lit(1)).alias("n")), "j", m.ncols, F.col("n")).select("j", F.col("upto").alias("start")))(_x1(s, d)), f"SELECT j, CAST(COALESCE(SUM(n) OVER (ORDER BY j ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS start FROM (SELECT j, COUNT(*) AS n FROM ({_X1}) GROUP BY j)")
+_add("op_window_ntile", lambda s, d: (lambda m: vector.tiles(m.df.select("j").distinct(), "j", m.ncols, 16).select("j", F.col("tile").alias("part")))(_x1(s, d)), f"SELECT j, ntile(16) OVER (ORDER BY j) AS part FROM (SELECT DISTINCT j FROM ({_X1}))")
 _add("op_window_range_frame", lambda s, d: _mesh(s, d).df.select("i", "j", F.sum("v").over(Window.partitionBy("i").orderBy("j").rangeBetween(-2, 2)).alias("v")), f"SELECT i, j, CAST(SUM(v) OVER (PARTITION BY i ORDER BY j RANGE BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS BIGINT) AS v FROM ({_X6})")
 _add("op_lead_edges", lambda s, d: _x4(s, d).df, _X4)
 _add("op_lag_runs", lambda s, d: _x1(s, d).df.select("i", "j", (F.coalesce(F.lag("v").over(Window.partitionBy("i").orderBy("j")), F.lit(-1)) != F.col("v")).alias("new")), f"SELECT i, j, COALESCE(LAG(v) OVER (PARTITION BY i ORDER BY j), -1) <> v AS new FROM ({_X1})")
@@ -415,6 +444,15 @@ def _roundtrip(s, d, way: str) -> DataFrame:
 
 for _w in ("coo_text", "csv", "json", "blocks"):
     _add(f"op_io_{_w}", lambda s, d, w=_w: _roundtrip(s, d, w), _X6)
+
+
+def _bucketed(s, d) -> DataFrame:
+    m = _mesh(s, d)
+    io.save_bucketed(m, "layermul_bucketed", path=fresh_path(s, "bucketed"))
+    return io.load_bucketed(s, "layermul_bucketed", m.nrows, m.ncols).df
+
+
+_add("op_io_bucketed", _bucketed, _X6)
 _add("op_source_rmat", lambda s, d: (register(s), s.read.format("rmat").option("class", "uniform").option("scale", "6").load().groupBy("i", "j").agg(F.count(F.lit(1)).alias("v")))[1], rmat_sql("uniform", 6))
 
 # --- streams ---------------------------------------------------------------------------------------
@@ -433,7 +471,9 @@ def _stream(s: SparkSession, d: str, what: str) -> DataFrame:
         rows = events.select(F.col("user_id").alias("i"), F.coalesce(F.try_element_at(rule, F.col("event_type")), F.lit(4)).cast("bigint").alias("j"))
         stream.run_to_end(rows, each=lambda batch, n: delta.add(batch.groupBy("i", "j").agg(F.count(F.lit(1)).alias("v")), n))
         return delta.product.df
-    if what == "dedupe":
+    if what == "click_purchases":
+        stream.run_to_end(stream.click_purchases(events.where("event_type = 'click'"), stream.event_stream(s, d).where("event_type = 'purchase'")), name=name)
+    elif what == "dedupe":
         stream.run_to_end(stream.once_per_event(events).select("event_id"), name=name)
     else:
         stream.run_to_end(stream.windowed_matrix(events, what), "complete" if what != "session" else "append", name=name)
@@ -443,7 +483,12 @@ def _stream(s: SparkSession, d: str, what: str) -> DataFrame:
 _KINDS = "(VALUES ('cart', 0), ('click', 1), ('purchase', 2), ('signup', 3), ('view', 4)) k(name, x)"
 _add("stream_tumbling", lambda s, d: _stream(s, d, "tumbling"), "SELECT time_bucket(INTERVAL '1 hour', ts) AS start, user_id AS i, event_type, COUNT(*) AS v FROM events GROUP BY 1, 2, 3")
 _add("stream_sliding", lambda s, d: _stream(s, d, "sliding"), "SELECT time_bucket(INTERVAL '15 minutes', ts) - k * INTERVAL '15 minutes' AS start, user_id AS i, event_type, COUNT(*) AS v FROM events, range(4) r(k) GROUP BY 1, 2, 3")
-_add("stream_session", lambda s, d: _stream(s, d, "session"), None)
+# a session is told once the watermark, ten minutes behind the latest event, has passed its end
+_add("stream_session", lambda s, d: _stream(s, d, "session"), """SELECT min(ts) AS start, user_id AS i, COUNT(*) AS v FROM (SELECT *, SUM(CAST(new AS INT)) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS k
+    FROM (SELECT *, COALESCE(ts - LAG(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) >= INTERVAL 30 MINUTES, TRUE) AS new FROM events)) GROUP BY user_id, k
+    HAVING max(ts) + INTERVAL 30 MINUTES <= (SELECT date_trunc('millisecond', max(ts)) - INTERVAL 10 MINUTES FROM events)""")
+_add("stream_click_purchases", lambda s, d: _stream(s, d, "click_purchases"), """SELECT c.user_id AS i, c.event_id AS click, p.event_id AS purchase FROM events c JOIN events p ON c.user_id = p.user_id
+    AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 10 MINUTES WHERE c.event_type = 'click' AND p.event_type = 'purchase'""")
 _add("stream_dedupe", lambda s, d: _stream(s, d, "dedupe"), "SELECT DISTINCT event_id FROM events")
 _add("stream_delta_product", lambda s, d: _stream(s, d, "delta_product"), f"""SELECT i, y AS j, CAST(SUM(n * (1 + x * y)) AS BIGINT) AS v FROM (SELECT user_id AS i, COALESCE(k.x, 4) AS x, COUNT(*) AS n FROM events LEFT JOIN {_KINDS} ON event_type = name GROUP BY 1, 2), range(5) t(y) GROUP BY 1, 2""")
 

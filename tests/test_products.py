@@ -7,10 +7,11 @@ import pytest
 from hypothesis import HealthCheck, given, settings
 from hypothesis import strategies as st
 
-from layermul.matrix import AffinePermutation, SparseMatrix
+from layermul.matrix import AffinePermutation, SparseMatrix, digest_permutation, permute_by
 from layermul.operators import cost, kernels, layout, merge
-from layermul.plans.grid import Grid, _murmur_int, partition_keys
-from layermul.plans.multiply import TooMuchWork, catalyst, grid2d, grid3d, multiply, oned
+from layermul.operators.graph import power
+from layermul.plans.grid import Grid, GridConfig, _murmur_int, partition_keys
+from layermul.plans.multiply import TooMuchWork, catalyst, cell_points, grid2d, grid3d, heavy_inner, local_sql, multiply, oned
 from layermul.plans.planner import ProductStats, choose_plan, comm_asymptotic, comm_model, estimate_nnz_c, measure, overlap_gain
 from layermul.semiring import MIN_PLUS, SEMIRINGS
 from layermul.sources.generators import CLASSES, rmat
@@ -146,8 +147,15 @@ def test_planner(spark):
     a = rmat(spark, "community", 5)
     s = measure(a, a)
     assert s.nnz_a == a.nnz() and choose_plan(s, 8)[0] == "oned_broadcast"
-    big = ProductStats(10**9, 10**9, 10**9, 10**10, 10**10, 10**13)
-    assert choose_plan(big, 64) == ("grid2d", Grid(8, 8, 1))
+    for want, stats in {
+        ("oned_broadcast", None): ProductStats(10**9, 10**9, 10**9, 10**10, 1000, 10**6),
+        ("oned_broadcast_a", None): ProductStats(10**9, 10**9, 10**9, 1000, 10**10, 10**6),
+        ("catalyst", None): ProductStats(10**9, 10**9, 10**9, 10**10, 10**10, 10**11, 10**6),
+        ("oned", None): ProductStats(10**9, 10**10, 10**9, 10**8, 10**10, 10**8),
+        ("grid2d", Grid(8, 8, 1)): ProductStats(10**6, 10**6, 10**6, 10**9, 10**9, 10**12),
+        ("grid3d", Grid(2, 2, 16)): ProductStats(10**9, 10**9, 10**9, 10**10, 10**10, 10**13, 10**9),
+    }.items():
+        assert choose_plan(stats, 64) == want
     got = {r["j"]: r["estimate"] for r in estimate_nnz_c(a, a, 64).collect()}
     want = {}
     for (_, j) in entries(catalyst(a, a)):
@@ -171,6 +179,8 @@ def test_plan_shapes(spark):
     a = SparseMatrix(spark.createDataFrame(a.df.collect(), a.df.schema), a.nrows, a.ncols)
     layered = grid3d(a, a, Grid(2, 2, 2)).df
     assert exchanges(layered) == 3  # both operands to their cells, results across layers
+    assert exchanges(grid2d(a, a, 2, 2).df) == 2  # results stay in their cells
+    assert exchanges(oned(a, a).df) <= 3  # rows of A, who wants what, and rows of B
     text = layered._jdf.queryExecution().executedPlan().toString()
     assert "Cartesian" not in text and "BroadcastNestedLoop" not in text
 
@@ -193,3 +203,47 @@ def test_rmat_quadrants(spark):
         n = degree << 8
         low = df.where("i < 128 AND j < 128").agg({"v": "sum"}).first()[0]
         assert abs(low - p * n) < 3 * np.sqrt(n * p * (1 - p)) and df.agg({"v": "sum"}).first()[0] == n
+
+
+def test_kernels_keep_types(spark):
+    from decimal import Decimal
+
+    cells = {(i, j): ((3 * i + 5 * j) % 7 - 2) / 4 for i, j in itertools.product(range(5), range(5)) if (i + j) % 3}
+    for kind, make in (("double", float), ("decimal(10,2)", lambda x: Decimal(str(x)))):
+        a = SparseMatrix.rows_of(spark, [(i, j, make(v)) for (i, j), v in cells.items()], 5, 5, kind)
+        want = catalyst(a, a)
+        for got in (kernels.heap_kernel(a, a, Grid(2, 1, 2)), kernels.dense_acc_kernel(a, a, Grid(1, 2, 1)), kernels.column_kernel_sql(a, a), SparseMatrix(merge.kway_merge_heap(merge.stage_lists(a, a, 4), 2), 5, 5)):
+            assert entries(got) == entries(want)
+    b = matrix(spark, {k: int(4 * v) for k, v in cells.items()}, 5, 5)
+    for s in SEMIRINGS.values():
+        m = b.apply(lambda v: v > 0) if s.name == "or_and" else b
+        assert entries(kernels.heap_kernel(m, m, semiring=s)) == entries(kernels.dense_acc_kernel(m, m, semiring=s)) == entries(catalyst(m, m, s)), s.name
+
+
+def test_hubs_are_split(spark):
+    star = {(i, 3): i + 1 for i in range(40)} | {(3, j): j + 2 for j in range(40)} | {(5, 6): 1}
+    a = matrix(spark, star, 40, 40)
+    hubs = heavy_inner(a, a, 8)
+    assert hubs == [3]
+    for h in (None, hubs):
+        points = cell_points(a, a, Grid(1, 1, 2), 8, hubs=h)
+        most = points.groupBy("cell").count().agg({"count": "max"}).first()[0]
+        assert (most > 1500) == (h is None)
+        assert entries(grid3d(a, a, Grid(1, 1, 2), threads=8, hubs=h)) == dense_product(star, star)
+
+
+def test_other_plans_and_permutations(spark):
+    a = rmat(spark, "skewed", 5)
+    want = entries(catalyst(a, a))
+    assert entries(local_sql(a, a)) == want == entries(grid3d(a, a, Grid(2, 2, 2), layout="replicate"))
+    held = SparseMatrix(spark.createDataFrame(a.df.collect(), a.df.schema), a.nrows, a.ncols)
+    assert exchanges(local_sql(held, held).df) == 2  # both operands, to one task
+    with pytest.raises(TooMuchWork):
+        local_sql(a, a, most=10)
+    assert entries(multiply(a, a, plan="oned_broadcast_a")) == want
+    table = digest_permutation(spark, 32)
+    back = table.select("p", "x").toDF("x", "p")
+    assert sorted(r["p"] for r in table.collect()) == list(range(32))
+    assert entries(permute_by(catalyst(permute_by(a, table), permute_by(a, table)), back)) == want
+    assert entries(power(a, 0, SEMIRINGS["plus_times"])) == {(i, i): 1 for i in range(32)}
+    assert GridConfig(64, 4, 2).grid == Grid(4, 4, 4)
