@@ -118,6 +118,9 @@ def labelled_sentences() -> list[list[tuple[str, str]]]:
         out.append(head + told(pick(["phone:", "tel.", "call me at", "my mobile is", "fax", "telephone"]), "O") + told(phone(), "phone_text") + tail)
         out.append(head + told(pick(["ssn", "ssn:", "my social security number is", "passport id:"]), "O") + told(f"{digits(3)}-{digits(2)}-{digits(4)}", "id_number") + tail)
         out.append(head + told(pick(["email:", "mail", "contact", "e-mail me:"]), "O") + told(f"{pick(names)} at {pick(['mail', 'example', 'corp'])} dot {pick(['com', 'org', 'net'])}", "email_text") + tail)
+        for announced in (["write to", "reply to", "ask", ""], ["see", "forward this to", "under", ""]):
+            out.append(head + told(pick(announced), "O") + told(f"{pick(names)} at {pick(['mail', 'example', 'corp'])} dot {pick(['com', 'org', 'net'])}", "email_text") + tail)
+        out.append(head + told(pick(["email:", "write to", "contact", "mail", ""]), "O") + told(f"{pick(names)}{pick(['', ' dot ' + pick(names)])} at {pick(['mail', 'example', 'corp'])} dot {pick(['com', 'org', 'net', 'co dot uk'])}", "email_text") + tail)
         out.append(head + told(pick(["iban", "iban:", "account"]), "O") + told(iban(), "iban") + tail)
         out.append(head + tail)
         out.append(head + told(pick(["at the station", "we are at home", "at at at at", "the dot at the end", "a dot here", "look at this", "mail at noon", "not at all"]), "O") + tail)
@@ -128,7 +131,7 @@ def labelled_sentences() -> list[list[tuple[str, str]]]:
 _SOUND = {
     "phone_text": lambda s: 7 <= sum(c.isdigit() for c in s) <= 15,
     "id_number": lambda s: 6 <= sum(c.isdigit() for c in s) <= 12,
-    "email_text": lambda s: re.fullmatch(r"\S+ at \S+( dot \S+)+", s.lower()) is not None,
+    "email_text": lambda s: re.fullmatch(r"\S+( dot \S+)* at \S+( dot \S+)+", s.lower()) is not None,
     "iban": lambda s: 12 <= sum(c.isdigit() for c in s) <= 32,
 }
 

@@ -412,3 +412,131 @@ def test_mixing_takes_by_inclusion_probability(spark):
     for kind in (0, 1):  # a long document is likelier to be taken
         rates = [got[kind, c][2] / got[kind, c][1] for c in sorted(c for k, c in got if k == kind)]
         assert rates == sorted(rates) and rates[-1] > 1.3 * rates[0]
+
+
+# --- brute force over whole texts ---
+
+
+def test_license_base_matches_brute_force(spark):
+    r = random.Random(8)
+    bits = ["cc", "by", "CC-BY", "all", "Rights", "reserved", "general", "public", "license", "General Public License,", "x", "é", "cc by by", "ALL RIGHTS RESERVED.", "\n", "4.0"]
+    texts = [" ".join(r.choice(bits) for _ in range(r.randint(0, 40))) for _ in range(150)]
+    texts += [*ODD, prose(15000, 21) + " CC BY " + prose(15000, 22) + " cc-by", texts[0], texts[0]]
+    got = license_scan.scan_licenses(table(spark, texts)).collect()
+    want = []
+    for k, t in enumerate(texts):
+        words = re.findall(license_scan.WORD, re.sub("[A-Z]", lambda m: m[0].lower(), t or ""))
+        base = []
+        for phrase in license_scan.PHRASES:
+            p = phrase.split()
+            at = [i for i in range(len(words) - len(p) + 1) if words[i : i + len(p)] == p]
+            base += [(phrase, len(at), at[0], at[-1])] if at else []
+        want.append((k, len(words), sorted(base)))
+    assert sorted((x["doc_id"], x["n_words"], sorted((b["phrase"], b["n"], b["first"], b["last"]) for b in x["base"])) for x in got) == want
+
+
+def brute_personal(text):
+    def luhn(d):
+        return sum(sum(divmod(int(c) * (1 + k % 2), 10)) for k, c in enumerate(d[::-1])) % 10 == 0
+
+    digits = lambda m: re.sub("[^0-9]", "", m[0])
+    rules = [
+        ("email", r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", lambda m: True),
+        ("ip", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", lambda m: all(int(x) <= 255 for x in m[0].split("."))),
+        ("card", r"[0-9]([\x20-]?[0-9])+", lambda m: 14 <= len(digits(m)) <= 19 and luhn(digits(m))),
+        ("phone", r"\+[0-9][\x20().0-9-]+[0-9]", lambda m: 10 <= len(digits(m)) <= 15),
+    ]
+    return sorted((m.start(), k, m.end(), kind) for k, (kind, rx, ok) in enumerate(rules) for m in re.finditer(rx, text) if ok(m))
+
+
+def test_personal_base_matches_brute_force(spark):
+    r = random.Random(9)
+    texts = ["".join(r.choice("+0123456789 -().@ab1234567890") for _ in range(r.randint(0, 200))) for _ in range(1500)]
+    cards = ["4539578763621486", "4539 5787 6362 1486", "30569309025904", "4539-5787-6362-1487", "6011000990139424123"]
+    texts += [f"{prose(3, k)} {r.choice(cards)}{r.choice(['', ' 1', '-', '.'])} +{r.randint(1, 99)} ({r.randint(10, 999)}) {r.randint(100, 9999999)}" for k in range(300)] + ["1.2.3.4.5.6.7.8 " * 500, "é" + "1" * 15 + "@x.y"]
+    for t in texts:
+        assert pii.base_spans(t) == brute_personal(t), t
+    rows = {x["doc_id"]: x for x in pii.personal_data(table(spark, texts[1400:] + ODD + texts[-2:])).collect()}
+    for k, t in enumerate(texts[1400:] + ODD + texts[-2:]):
+        found = brute_personal(t or "")
+        assert rows[k]["base_sha256"] == hashlib.sha256(",".join(f"{kind}:{s}:{e}" for s, _, e, kind in found).encode()).hexdigest()
+        assert [rows[k][f"n_{kind}"] for kind in pii.BASE] == [sum(x[3] == kind for x in found) for kind in pii.BASE]
+
+
+def test_fingerprint_parse_matches_brute_force():
+    """One symbol at a time, from the definition: runs, coin tossing, local minima, names."""
+    mix = lambda x: int(textscan.mix(np.array([x % 2**64], np.uint64))[0])
+
+    def names(text):
+        x, level, told = list(text), 0, []
+        while x:
+            runs = []
+            for v in x:
+                if runs and runs[-1][0] == v:
+                    runs[-1][1] += 1
+                else:
+                    runs.append([v, 1])
+            width = 8 if level == 0 and all(n == 1 for _, n in runs) else 64
+            x = [v if n == 1 else mix(v ^ (n * int(fingerprint._LEFT)) % 2**64) for v, n in runs]
+            labels = x
+            for _ in range(4):
+                new = []
+                for k, v in enumerate(labels):
+                    left = labels[k - 1] if k else ~v % 2**width
+                    bit = ((v ^ left) & -(v ^ left)).bit_length() - 1
+                    new.append(2 * bit + (v >> bit & 1))
+                labels, width = new, 8
+            cut = [k for k in range(len(x)) if k == 0 or (k < len(x) - 1 and labels[k] < labels[k - 1] and labels[k] < labels[k + 1])] + [len(x)]
+            x = [mix(sum(mix(v + 1) * int(fingerprint._ODD[min(k, 63)]) for k, v in enumerate(x[a:b])) % 2**64 ^ (b - a)) for a, b in zip(cut, cut[1:], strict=False)]
+            level += 1
+            if len(x) == 1 or level >= fingerprint.LOWEST:
+                told += [mix(v + level) for v in x]
+            if len(x) == 1:
+                break
+        out = [2**64 - 1] * fingerprint.PLACES
+        for v in told:
+            out[v % fingerprint.PLACES] = min(out[v % fingerprint.PLACES], v >> 1)
+        return out
+
+    for t in [prose(40, 1), "a", "aaaa", "ab" * 9, prose(300, 2), "é漢字😀 ß", "x" * 100 + prose(9, 3)]:
+        assert fingerprint.sketch(t.encode()).tolist() == names(t.encode()), t
+
+
+def held_out_sentences(n=150, seed=77):
+    r = random.Random(seed)
+    d = lambda k: "".join(r.choice("0123456789") for _ in range(k))
+    pick = r.choice
+    people = "olga tom wei fatima james nadia carlos priya".split()
+    hosts = "inbox post webmail office company uni".split()
+    fill = ["our staff will answer within a week", "she moved to the coast in spring", "he sold 12 paintings and 3 frames", "the train leaves at 9.45 from platform 4", "chapter 7 has 210 pages", "prices rose by 3.5% in 2019", "the meeting is on 12/05/2021 at noon"]
+    kinds = {
+        "phone_text": lambda: (pick(["reach me on", "dial", "our hotline is", "ring", "phone", "mobile:"]), pick([f"({d(3)}) {d(3)}-{d(4)}", f"{d(3)}-{d(3)}-{d(4)}", f"{d(3)}.{d(3)}.{d(4)}", f"0{d(3)} {d(3)} {d(4)}"])),
+        "id_number": lambda: (pick(["his social security number was", "ssn", "ssn of the applicant:", "passport id"]), f"{d(3)}-{d(2)}-{d(4)}"),
+        "email_text": lambda: (pick(["send it to", "you can mail", "address:", "contact"]), f"{pick(people)}{pick(['', ' dot ' + pick(people)])} at {pick(hosts)} dot {pick(['com', 'org', 'de', 'edu'])}"),
+        "iban": lambda: (pick(["please pay to", "iban", "account number", "transfer to"]), pick([f"{pick(['DE','IT','AT','PL'])}{d(20)}", f"{pick(['DE','IT','AT'])}{d(2)} {d(4)} {d(4)} {d(4)} {d(4)} {d(2)}"])),
+    }
+    out = []
+    for _ in range(n):
+        for k, f in kinds.items():
+            a, b = f(); head = pick(fill)
+            text = f"{head} {a} "
+            out.append((text + b + " " + pick(fill), [(k, len(text), len(text) + len(b))]))
+        out.append((pick(fill) + " " + pick(fill), []))
+    return out
+
+
+def test_field_finds_what_it_was_not_trained_on():
+    """Other carriers, people and hosts than the training table has."""
+    rows = held_out_sentences()
+    got = pii._field_spans(pii.trained_field(), pa.array([t for t, _ in rows]))
+    hit, want, told = {}, {}, {}
+    for n, (text, truth) in enumerate(rows):
+        base = pii.base_spans(text)
+        mine = {(k, s, e) for s, _, e, k in got.get(n, []) if pii._SOUND[k](text[s:e]) and not any(b[0] < e and s < b[2] for b in base)}
+        for x in truth:
+            want[x[0]] = want.get(x[0], 0) + 1
+            hit[x[0]] = hit.get(x[0], 0) + (x in mine)
+        for x in mine:
+            told[x[0]] = told.get(x[0], 0) + 1
+    for k, n in want.items():
+        assert hit[k] >= 0.9 * n and hit[k] >= 0.9 * told[k], k
