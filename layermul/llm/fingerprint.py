@@ -170,40 +170,37 @@ SCHEMA = pa.schema([("doc_id", pa.int64()), ("n_chars", pa.int64()), ("edited_sh
 _RESULT = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
 
 
-def fingerprints_with_next(docs: DataFrame, rows_per_block: int = 2048, lowest: int = LOWEST, places: int = PLACES) -> DataFrame:
-    """docs: doc_id, text. Documents lie in blocks of consecutive doc_id; the first row of a block is
-    also dealt to the block before, so each block knows its successor without a global window."""
-    bound_arrow(docs.sparkSession)
-    rows = docs.select(F.col("doc_id").cast("long"), F.coalesce("text", F.lit("")).alias("text"))
-    facts = rows.agg(F.count(F.lit(1)).alias("n"), F.min(F.coalesce("doc_id", F.lit(-(2**63)))).alias("lo")).first()
-    if not facts["n"]:
-        return rows.limit(0).mapInArrow(lambda b: iter(()), _RESULT)
+def fingerprints_with_next(docs: DataFrame, rows_per_block: int = 1 << 15, lowest: int = LOWEST, places: int = PLACES) -> DataFrame:
+    """docs: doc_id, text. Documents lie in blocks of consecutive doc_id, one a partition and streamed in
+    order; the first row of a block is also dealt to the block before, so each block knows its
+    successor without a global window. The driver holds one id for each block."""
     spark = docs.sparkSession
-    blocks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-facts["n"] // rows_per_block))
-    shares = [i / blocks for i in range(1, blocks)]
-    cuts = sorted(set(rows.agg(F.percentile_approx("doc_id", shares, 100 * blocks).alias("q")).first()["q"] or [])) if shares else []
-    cuts = [c for c in cuts if c > facts["lo"]]
-    cut_list = F.array(*[F.lit(c).cast("long") for c in cuts]) if cuts else F.array().cast("array<bigint>")
+    bound_arrow(spark)
+    rows = docs.select(F.col("doc_id").cast("long"), F.coalesce("text", F.lit("")).alias("text"))
+    blocks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-docs.count() // rows_per_block))
     key = F.coalesce("doc_id", F.lit(-(2**63)))  # null ids stand first
-    block = F.expr("0") if not cuts else _place(key, cut_list, len(cuts))
-    n = len(cuts) + 1
-    heads = F.array_contains(cut_list, key) | (key == F.lit(facts["lo"]))
-    placed = rows.withColumn("block", block.cast("int"))
-    both = F.when(heads, F.array(F.struct(F.col("block"), F.lit(False).alias("last")), F.struct(((F.col("block") + n - 1) % n).cast("int").alias("block"), F.lit(True).alias("last")))).otherwise(F.array(F.struct(F.col("block"), F.lit(False).alias("last"))))
-    dealt = placed.select("doc_id", "text", F.explode(both).alias("b")).select(F.col("b.block").alias("block"), "doc_id", "text", F.col("b.last").alias("last"))
+    ranges = rows.select(key.alias("key")).repartitionByRange(blocks, "key").groupBy(F.spark_partition_id().alias("range"))
+    starts = np.sort(ranges.agg(F.min("key").alias("start")).select("start").toArrow()["start"].to_numpy())  # ids alone are shuffled for it
+    if not len(starts):
+        return rows.limit(0).mapInArrow(lambda b: iter(()), _RESULT)
+    n = len(starts)
+    listed = F.split(F.lit(",".join(map(str, starts.tolist()))), ",").cast("array<bigint>")  # folded to one literal
+    placed = rows.withColumn("block", _place(key, listed, n) - 1)
+    own, before = (F.struct(b.cast("int").alias("block"), F.lit(last).alias("last")) for b, last in ((F.col("block"), False), (F.pmod(F.col("block") - 1, F.lit(n)), True)))
+    both = F.when(F.get(listed, F.col("block")) == key, F.array(own, before)).otherwise(F.array(own))
+    dealt = placed.select("doc_id", "text", F.explode(both).alias("b")).select("b.block", "doc_id", "text", "b.last")
     dealt = dealt.repartitionById(n, "block").sortWithinPartitions("block", "last", F.col("doc_id").asc_nulls_first(), "text")
     return dealt.mapInArrow(_with_next(lowest, places), _RESULT)
 
 
-def _place(key, cut_list, n: int):
-    """How many cuts are at or below the key, by halving."""
-    lo, hi = F.lit(0), F.lit(n)
-    state = F.struct(lo.alias("lo"), hi.alias("hi"))
+def _place(key, listed, n: int):
+    """How many of the n listed ids are at or below the key, by halving."""
+    state = F.struct(F.lit(0).alias("lo"), F.lit(n).alias("hi"))
     steps = F.sequence(F.lit(1), F.lit(max(1, n.bit_length())))
 
     def halve(s, _):
         mid = F.floor((s["lo"] + s["hi"]) / 2).cast("int")
-        up = F.get(cut_list, mid) <= key
+        up = F.get(listed, mid) <= key
         return F.struct(F.when((s["lo"] < s["hi"]) & up, mid + 1).otherwise(s["lo"]).alias("lo"), F.when((s["lo"] < s["hi"]) & ~up, mid).otherwise(s["hi"]).alias("hi"))
 
     return F.aggregate(steps, state, halve, lambda s: s["lo"])
