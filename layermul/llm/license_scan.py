@@ -1,4 +1,5 @@
-"""License scan by ordered signature rules, natively.
+"""License scan by ordered signature rules, natively: sentences of the licences' own texts, tags, and
+mentions of their names.
 
 Rules are regexes over the lower-cased text, each gated by one keyword: a text meets a rule's regex
 only if it holds the rule's keyword. Detections carry their rule's priority; one that lies inside a
@@ -17,6 +18,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .license_clauses import SENTENCES
 from .scratch import table
 from .spans import ascii_lower, quoted
 
@@ -79,24 +81,6 @@ TAGS = (
     "hpnd ipl-1.0 isc lgpl-2.0 lgpl-2.1 lgpl-3.0 lppl-1.3c mit mit-0 mpl-1.0 mpl-1.1 mpl-2.0 ms-pl ms-rl ncsa odbl-1.0 ofl-1.1 openssl osl-3.0 php-3.01 "
     "postgresql python-2.0 qpl-1.0 ruby sissl unlicense upl-1.0 vim w3c wtfpl x11 zlib zpl-2.1"
 ).split()
-# Sentences that stand only in one licence's own text.
-CLAUSES = (
-    ("mit", "permission is hereby granted", r"permission is hereby granted, free of charge, to any person obtaining a copy"),
-    ("isc", "permission to use", r"permission to use, copy, modify, and/?(?:or)? ?distribute this software for any purpose"),
-    ("bsd-3-clause", "neither the name", r"neither the name of [^.]{1,120} may be used to endorse or promote products"),
-    ("bsd-2-clause", "redistribution and use", r"redistribution and use in source and binary forms, with or without modification"),
-    ("bsd-4-clause", "advertising materials", r"all advertising materials mentioning features or use of this software"),
-    ("zlib", "provided 'as-is'", r"this software is provided 'as-is', without any express or implied warranty"),
-    ("unlicense", "public domain", r"free and unencumbered software released into the public domain"),
-    ("public-domain", "public domain", r"(?:placed|released|dedicated) (?:in|into|to) the public domain"),
-    ("gpl", "free software", r"this program is free software[:;] you can redistribute it"),
-    ("lgpl", "free software", r"this library is free software[:;] you can redistribute it"),
-    ("mpl-2.0", "source code form", r"this source code form is subject to the terms of the mozilla public license"),
-    ("bsl-1.0", "boost software", r"distributed under the boost software license"),
-    ("proprietary", "proprietary", r"proprietary and confidential"),
-    ("copyright", "copyright", r"copyright (?:\(c\)|©)? ?(?:19|20)[0-9]{2}"),
-)
-
 #: Names that are everyday words: alone they count only before "license".
 _ALSO_WORDS = ("mit", "isc")
 
@@ -111,7 +95,7 @@ _TEMPLATES = (
 
 def rules() -> list[dict]:
     """All signature rules in order: id, label, priority 1 to 5, keyword, regex over lower-cased text."""
-    out = [(label, 5, word, rx) for label, word, rx in CLAUSES]
+    out = [(label, 5, word, rx.replace(" ?", r"\s*").replace(" ", r"\s+")) for label, word, rx in SENTENCES]
     out += [(tag, 5, "spdx-license-identifier", r"spdx-license-identifier:\s*" + tag.replace(".", r"\.") + r"(?:-only|-or-later|\+)?(?![a-z0-9.-])") for tag in TAGS]
     for p, t in _TEMPLATES:
         for label, word, rx in NAMES:
@@ -181,6 +165,23 @@ def scan_licenses(docs: DataFrame, rule_list: list[dict] | None = None) -> DataF
     )
 
 
+def op3_base(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of op3_license_scan that hold the base phrases alone."""
+    return op3_license_scan(spark, sf_dir).select("doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels")
+
+
+def op3_base_oracle() -> str:
+    """DuckDB SQL of op3_base."""
+    n, upper = len(max(PHRASES, key=len).split()), "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
+    rows = ", ".join(f"({p.split() + [''] * (n - len(p.split()))!r}, {len(p.split())}, '{label}')" for p, label in PHRASES.items())
+    return f"""WITH words AS (SELECT doc_id, row_number() OVER () AS rid, regexp_extract_all(translate(coalesce(text, ''), '{upper}', '{upper.lower()}'), '{WORD}') AS w FROM documents),
+        phrases(parts, n, label) AS (VALUES {rows}),
+        spots AS (SELECT rid, w, unnest(range(len(w))) AS spot FROM words),
+        places AS (SELECT rid, label, spot FROM spots JOIN phrases ON w[spot + 1] = parts[1] AND w[spot + 1 : spot + n] = parts[1 : n])
+        SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, count(spot) AS n_base, min(spot) AS first_word, max(spot) AS last_word, coalesce(string_agg(DISTINCT label, ',' ORDER BY label), '') AS base_labels
+        FROM words LEFT JOIN places USING (rid) GROUP BY rid, doc_id, w"""
+
+
 def op3_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = scan_licenses(table(spark, sf_dir, "documents").select("doc_id", "text"))
     label = F.create_map(*[F.lit(x) for kv in PHRASES.items() for x in kv])

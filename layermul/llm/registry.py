@@ -12,6 +12,7 @@ OPERATORS = {
     "op1_decontaminate": ("decontaminate", "op1_oracle"),
     "op2_url_filter": ("url_filter", None),
     "op3_license_scan": ("license_scan", None),
+    "op3_base": ("license_scan", "op3_base_oracle"),
     "op4_sharding": ("sharding", None),
     "op5_mixing": ("mixing", "op5_oracle"),
     "op6_pii": ("pii", None),

@@ -11,7 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from layermul.llm import components as cc
-from layermul.llm import decontaminate, fingerprint, license_scan, mixing, ngram_join, pii, quality, secret_scan, sharding, textscan, url_filter
+from layermul.llm import decontaminate, fingerprint, license_clauses, license_scan, mixing, ngram_join, pii, quality, secret_scan, sharding, textscan, url_filter
 from layermul.llm.scratch import fresh_path
 
 SCHEMA = "doc_id long, text string, source string, key long, n long, token string"
@@ -191,6 +191,16 @@ def test_licenses(spark):
     assert len(license_scan.rules()) > 200
 
 
+def test_license_sentences_stand_in_wrapped_texts(spark):
+    assert all(word in rx.replace("\\", "") for _, word, rx in license_clauses.SENTENCES)
+    plain = [(label, rx) for label, _, rx in license_clauses.SENTENCES if not set(r"[]{}()?|+*") & set(rx.replace(r"\(", "").replace(r"\)", ""))]
+    texts = ["# " + re.sub(r"\\(.)", r"\1", rx).upper().replace(" ", "\n  ", 3) + "." for _, rx in plain]
+    got = {r["doc_id"]: {d["label"] for d in r["detections"]} for r in license_scan.scan_licenses(table(spark, texts)).collect()}
+    assert len(plain) > 60 and [label for k, (label, _) in enumerate(plain) if label not in got[k]] == []
+    odd = ["Copyright 2020 A", "copyright (c) 1999 B", "COPYRIGHT ©2001", "copyright law"]
+    assert [{d["label"] for d in r["detections"]} for r in license_scan.scan_licenses(table(spark, odd)).orderBy("doc_id").collect()] == [{"copyright"}] * 3 + [set()]
+
+
 def test_contained_detections_are_suppressed(spark):
     rules = [dict(id=k, label=rx, prio=p, word="a", rx=rx) for k, (rx, p) in enumerate([("a b c", 2), ("b", 1), ("b c", 3), ("c d", 1), ("a b c", 2)])]
     found = license_scan.scan_licenses(table(spark, ["a b c d spdx"]), [r | {"word": "b c"} for r in rules]).first()["detections"]
