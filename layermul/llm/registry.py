@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 OPERATORS = {
     "op1_decontaminate": ("decontaminate", "op1_oracle"),
     "op2_url_filter": ("url_filter", None),
+    "op2_rules": ("url_filter", "op2_rules_oracle"),
     "op3_license_scan": ("license_scan", None),
     "op3_base": ("license_scan", "op3_base_oracle"),
     "op4_sharding": ("sharding", None),

@@ -128,3 +128,20 @@ def judged(pages: DataFrame, rules: Sequence[UrlRule] = RULES, config: RankConfi
 
 def op2_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged(table(spark, sf_dir, "pages").select("page_id", "url", "html"))
+
+
+def op2_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the rules alone say of op2_url_filter's rows; verdict is null where no rule fits."""
+    return op2_url_filter(spark, sf_dir).select("page_id", "host", "path", "rule", F.when(F.col("rule").isNotNull(), F.col("verdict")).alias("verdict"))
+
+
+def op2_rules_oracle() -> str:
+    """DuckDB SQL of op2_rules."""
+    upper = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
+    rows = ", ".join(f"('{r.host}', '{r.path}', '{r.verdict}')" for r in RULES)
+    return f"""WITH rests AS (SELECT page_id, row_number() OVER () AS rid, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages),
+        parts AS (SELECT page_id, rid, translate(regexp_extract(rest, '^[^/?#]*'), '{upper}', '{upper.lower()}') AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM rests),
+        rules(rhost, rpath, verdict) AS (VALUES {rows}),
+        fits AS (SELECT rid, rhost || rpath AS rule, verdict FROM parts JOIN rules ON ends_with('.' || host, '.' || rhost) AND starts_with(path, rpath)
+                 QUALIFY row_number() OVER (PARTITION BY rid ORDER BY length(rhost) + length(rpath) DESC) = 1)
+        SELECT page_id, host, path, rule, verdict FROM parts LEFT JOIN fits USING (rid)"""
