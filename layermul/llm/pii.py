@@ -24,6 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .scratch import bound_arrow, table
+from .spans import span_sql
 from .textscan import SPACED, find_words, hash_words, small_batches, text_bytes
 
 BASE = ("email", "ip", "card", "phone")
@@ -338,3 +339,31 @@ def personal_data(docs: DataFrame, field: LineField | None = None) -> DataFrame:
 
 def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return personal_data(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
+def op6_base(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of op6_pii that hold the base kinds alone."""
+    return op6_pii(spark, sf_dir).select("doc_id", *[f"n_{k}" for k in BASE], "base_sha256")
+
+
+def op6_base_oracle() -> str:
+    """DuckDB SQL of op6_base."""
+    # Fixed values of the contract, and the sums of the digits of doubled digits.
+    patterns = (
+        ("email", r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+"),
+        ("ip", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)"),
+        ("card", r"[0-9]([\x20-]?[0-9])+"),
+        ("phone", r"\+[0-9][\x20().0-9-]+[0-9]"),
+    )
+    doubled = [0, 2, 4, 6, 8, 1, 3, 5, 7, 9]
+    byte = "0*([0-9]|[1-9][0-9]|1[0-9][0-9]|2[0-4][0-9]|25[0-5])"
+    found = "substring(text, x.start + 1, x.end - x.start)"
+    digits = f"regexp_replace({found}, '[^0-9]', '', 'g')"
+    luhn = f"list_sum(list_transform(string_split(reverse({digits}), ''), lambda c, i: CASE WHEN i % 2 = 0 THEN {doubled}[CAST(c AS INTEGER) + 1] ELSE CAST(c AS INTEGER) END)) % 10 = 0"
+    holds = f"""CASE x.kind WHEN 'email' THEN TRUE WHEN 'ip' THEN regexp_full_match({found}, '({byte}\\.){{3}}{byte}')
+        WHEN 'card' THEN length({digits}) BETWEEN 14 AND 19 AND {luhn} ELSE length({digits}) BETWEEN 10 AND 15 END"""
+    counts = ", ".join(f"len(list_filter(kept, lambda x: x.kind = '{k}'))::BIGINT AS n_{k}" for k, _ in patterns)
+    return f"""WITH d AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
+      {span_sql([(p, k, 0, 0) for k, p in patterns], "d")},
+      held AS (SELECT doc_id, list_filter(s, lambda x: {holds}) AS kept FROM spanned)
+      SELECT doc_id, {counts}, sha256(array_to_string(list_transform(kept, lambda x: x.kind || ':' || x.start || ':' || x.end), ',')) AS base_sha256 FROM held"""

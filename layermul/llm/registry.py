@@ -17,6 +17,7 @@ OPERATORS = {
     "op4_sharding": ("sharding", None),
     "op5_mixing": ("mixing", "op5_oracle"),
     "op6_pii": ("pii", None),
+    "op6_base": ("pii", "op6_base_oracle"),
     "op7_secret_scan": ("secret_scan", "op7_oracle"),
     "op8_ngram_join": ("ngram_join", "op8_oracle"),
     "op9_quality": ("quality", None),
