@@ -234,6 +234,39 @@ def test_store(spark):
 def test_sharding_of_no_rows(spark):
     store = sharding.sharded(table(spark, []))
     assert store.read(schema=table(spark, []).schema).count() == 0
+    empty = sharding.ShardStore(spark, fresh_path(spark, "store"))
+    assert sharding.shard_of_rows(empty, table(spark, []).schema, ["doc_id"]).count() == 0
+
+
+def test_lists(spark, monkeypatch):
+    """A commit keeps the lists of full shards; folders read in part; other sizes; lists of few shards."""
+    monkeypatch.setattr(sharding, "LIST_MOST", 2)
+    docs = table(spark, [prose(60, s) for s in range(120)] + [prose(9000, 7)])
+    rows = sorted(r["doc_id"] for r in docs.collect())
+    path = fresh_path(spark, "store")
+    store = sharding.ShardStore(spark, path, sharding.ShardConfig(target=1 << 15))
+    store.append(docs.where("doc_id = 120 OR doc_id < 20").repartitionByRange(6, "doc_id"))  # one full shard among small ones
+    full = {h["list"] for h in store.head()["lists"] if h["tier"] == 0}
+    assert len(full) == 1 and len(store.head()["lists"]) >= 4
+    store.append(docs.where("doc_id >= 20 AND doc_id < 120").repartition(5))
+    store.compact_all()
+    assert full <= {h["list"] for h in store.head()["lists"]}
+    assert sorted(r["doc_id"] for r in store.read().collect()) == rows
+    assert store.read(1).count() == 21
+    n = len(store.manifest()["shards"])
+    assert sum(h["shards"] for h in store.head()["lists"]) == n
+    place = sharding.shard_of_rows(store, docs.schema, ["doc_id"]).collect()
+    assert sorted(r["doc_id"] for r in place) == rows and {r["shard"] for r in place} == set(range(n))
+    assert {r["shard_bytes"] for r in place} == {s["bytes"] for s in store.manifest()["shards"]}
+    assert store.expire() > 0 and store.expire() == 0
+    assert sorted(r["doc_id"] for r in store.read().collect()) == rows
+    other = sharding.ShardStore(spark, path, sharding.ShardConfig(target=1 << 22))
+    other.compact_all()
+    assert all(h["tiers"] == [1 << 22, 4] for h in other.head()["lists"])
+    other.expire()
+    assert sorted(r["doc_id"] for r in other.read().collect()) == rows
+    names = {s.getPath().getName() for s in other._fs.listStatus(other._at("lists"))}
+    assert {h["list"].split("/")[-1] for h in other.head()["lists"]} == {x for x in names if not x.startswith(".")}
 
 
 # --- 5: mixing ---
