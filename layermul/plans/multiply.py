@@ -189,22 +189,29 @@ def multiply(a: SparseMatrix, b: SparseMatrix, semiring: Semiring = PLUS_TIMES,
     """C = A B. plan: auto, catalyst, oned, oned_broadcast, grid2d or grid3d. mask keeps (or with
     complement leaves out) the entries of a pattern; A's rows and B's columns that the mask doesn't
     touch are left out before the product. drop_below leaves out small results. max_flops refuses
-    products with more scalar products than that before any is made."""
+    products with more scalar products than that before any is made. Under auto, inner indices that
+    outweigh a layer are shared by sub-splits of its cells."""
     from .planner import BROADCAST_ENTRIES, choose_plan, measure
 
-    stats = measure(a, b) if plan == "auto" or max_flops is not None else None
+    auto = plan == "auto"
+    stats = measure(a, b) if auto or max_flops is not None else None
     if max_flops is not None and stats.flops > max_flops:
         raise TooMuchWork(f"{stats.flops} scalar products, {max_flops} allowed")
     if mask is not None and not complement:
         a = a.with_df(a.df.join(mask.df.select("i").distinct(), "i", "left_semi"))
         b = b.with_df(b.df.join(mask.df.select("j").distinct(), "j", "left_semi"))
-    if plan == "auto":
+    if auto:
         workers = int(a.df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
         plan, grid = choose_plan(stats, workers)
     elif plan == "oned_broadcast" and b.nnz() > BROADCAST_ENTRIES:
         plan = "oned"
     if plan in ("grid2d", "grid3d"):
-        c = grid3d(a, b, grid or Grid(2, 2, 2 if plan == "grid3d" else 1), semiring)
+        grid = grid or Grid(2, 2, 2 if plan == "grid3d" else 1)
+        hubs = threads = None
+        if auto and grid.pl > 1 and stats.heaviest * grid.pl > stats.flops:  # more than a layer's share
+            hubs = heavy_inner(a, b, grid.pl)
+            threads = max(threads_per_cell(a.df.sparkSession, grid), 1 - (-stats.heaviest * grid.pl // stats.flops))
+        c = grid3d(a, b, grid, semiring, threads=threads, hubs=hubs)
     elif plan in ("oned", "oned_broadcast", "oned_broadcast_a"):
         c = oned(a, b, semiring, "col" if plan == "oned_broadcast_a" else "row", broadcast=plan != "oned")
     elif plan == "catalyst":

@@ -25,14 +25,15 @@ class ProductStats:
     nnz_b: int
     flops: int
     nnz_c: int | None = None
+    heaviest: int = 0  # scalar products of the inner index that has most
 
 
 def measure(a: SparseMatrix, b: SparseMatrix) -> ProductStats:
     """Two grouped counts and their join on the inner index; no product is enumerated."""
     one = a.df.groupBy(F.col("j").alias("k")).agg(F.count(F.lit(1)).alias("na"))
     two = b.df.groupBy(F.col("i").alias("k")).agg(F.count(F.lit(1)).alias("nb"))
-    r = one.join(two, "k", "full_outer").agg(F.sum("na").alias("a"), F.sum("nb").alias("b"), F.sum(F.col("na") * F.col("nb")).alias("f")).first()
-    return ProductStats(a.nrows, a.ncols, b.ncols, r["a"] or 0, r["b"] or 0, r["f"] or 0)
+    r = one.join(two, "k", "full_outer").agg(F.sum("na").alias("a"), F.sum("nb").alias("b"), F.sum(F.col("na") * F.col("nb")).alias("f"), F.max(F.col("na") * F.col("nb")).alias("h")).first()
+    return ProductStats(a.nrows, a.ncols, b.ncols, r["a"] or 0, r["b"] or 0, r["f"] or 0, heaviest=r["h"] or 0)
 
 
 def broadcast_time(words: float, q: float, alpha: float, beta: float) -> float:

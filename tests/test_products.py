@@ -10,6 +10,8 @@ from hypothesis import strategies as st
 from layermul.matrix import AffinePermutation, SparseMatrix, digest_permutation, permute_by
 from layermul.operators import cost, kernels, layout, merge
 from layermul.operators.graph import power
+from layermul.plans import multiply as plans
+from layermul.plans import planner
 from layermul.plans.grid import Grid, GridConfig, _murmur_int, partition_keys
 from layermul.plans.multiply import TooMuchWork, catalyst, cell_points, grid2d, grid3d, heavy_inner, local_sql, multiply, oned
 from layermul.plans.planner import ProductStats, choose_plan, comm_asymptotic, comm_model, estimate_nnz_c, measure, overlap_gain
@@ -232,6 +234,20 @@ def test_hubs_are_split(spark):
         assert entries(grid3d(a, a, Grid(1, 1, 2), threads=8, hubs=h)) == dense_product(star, star)
 
 
+def test_auto_shares_hubs(spark, monkeypatch):
+    star = {(i, 3): i + 1 for i in range(40)} | {(3, j): j + 2 for j in range(40)} | {(5, 6): 1}
+    even = {(i, (7 * i) % 40): i + 1 for i in range(40)}
+    asked = []
+    monkeypatch.setattr(planner, "choose_plan", lambda s, w: ("grid3d", Grid(1, 1, 8)))
+    monkeypatch.setattr(plans, "grid3d", lambda *x, **more: asked.append(more) or grid3d(*x, **more))
+    for cells, hubs in ((star, [3]), (even, None)):
+        a = matrix(spark, cells, 40, 40)
+        assert entries(multiply(a, a)) == dense_product(cells, cells)
+        assert asked[-1]["hubs"] == hubs
+    most = cell_points(matrix(spark, star, 40, 40), matrix(spark, star, 40, 40), Grid(1, 1, 8), **asked[0]).groupBy("cell").count().agg({"count": "max"}).first()[0]
+    assert asked[0]["threads"] >= 8 and most < 800
+
+
 def test_other_plans_and_permutations(spark):
     a = rmat(spark, "skewed", 5)
     want = entries(catalyst(a, a))
