@@ -138,6 +138,8 @@ def frequent_shingles(docs: DataFrame, config: JoinConfig = JoinConfig()) -> Fre
 
 #: 64-bit numbers of the short parity bitmap.
 _FOLDS = 8
+#: Earlier meeting places of a row at which a pair is looked for, so that it isn't told again.
+_BEFORE = 4
 #: Distinct marks that a counting task holds before it sends their sums.
 _MARKS_HELD = 1 << 20
 
@@ -288,7 +290,7 @@ def _merged(settled: DataFrame, links: DataFrame, read_from: list[DataFrame]) ->
 
 
 def _sides(meetings: DataFrame, config: JoinConfig) -> tuple[DataFrame, DataFrame]:
-    """(index, probe) of meetings (token, comp, cid, n, rest, held): rows that may be the smaller and the
+    """(index, probe) of meetings (token, comp, gid, cid, n, rest, held): rows that may be the smaller and the
     larger partner of a pair whose first common shingle this is, by token and size bucket.
 
     From its first common shingle on, a document can share its `rest` shingles, and a pair of sizes n, k
@@ -296,7 +298,7 @@ def _sides(meetings: DataFrame, config: JoinConfig) -> tuple[DataFrame, DataFram
     and the larger finds partners only up to a size that its rest allows: hi."""
     share = 100 + config.percent
     bucket = lambda x: F.floor(F.log(x.cast("double")) / F.lit(0.05)).cast("int")
-    rows = meetings.select("token", "comp", "cid", "n", "rest", "held")
+    rows = meetings.select("token", "comp", "gid", "cid", "n", "rest", "held")
     index = rows.where(F.col("rest") * share >= 2 * config.percent * F.col("n")).withColumn("bucket", bucket(F.col("n")))
     lo = F.expr(f"(n * {config.percent} + 99) div 100")
     hi = F.least(F.expr(f"rest * {share} div {config.percent}") - F.col("n"), F.col("n"))
@@ -313,26 +315,36 @@ def _across(index: DataFrame, probe: DataFrame) -> DataFrame:
 
 
 def _cross_pairs(index: DataFrame, probe: DataFrame, across: DataFrame, folds: DataFrame, config: JoinConfig) -> DataFrame:
-    """Distinct pairs (a, b) of different components that may link, and differ in no more places of
+    """Pairs (a, b) of different components that may link, and differ in no more places of
     their short bitmaps (doc_id, f0, ...) than linked sets do. Of the two, the one whose prefix ends
     earlier in the order shares at most `held`: what it has in common with the other and in its own
     prefix is in the other's prefix too. For the other one that does not hold. The component with most index rows at a
-    place meets only the others' rows, so members of one large component are not held together."""
+    place meets only the others' rows, so members of one large component are not held together.
+
+    A pair that met at one of the _BEFORE places before this one in both rows' order is not told again: what
+    it passes here it passed there, as rest and held only fall along the order. So a pair with many common
+    shingles is told a few times at most, and no pair is lost."""
     place = ["token", "bucket"]
     most = across.select(*place, F.col("b_comp").alias("comp"), "nb").distinct().groupBy(*place).agg(F.max_by("comp", "nb").alias("most"))
     names = [f"f{k}" for k in range(_FOLDS)]
     maps = folds.select(F.col("doc_id").alias("cid"), "reach", *names)
-    one = probe.join(most, place).join(maps, "cid").select(*place, "most", "lo", "hi", *[F.col(c).alias(f"a_{c}") for c in ("comp", "cid", "n", "held", "reach", *names)])
-    two = index.join(most, place).join(maps, "cid").select(*place, "most", *[F.col(c).alias(f"b_{c}") for c in ("comp", "cid", "n", "rest", "held", "reach", *names)])
+    # rows of different texts under one doc_id have orders of their own
+    order = Window.partitionBy("cid", "bucket", "gid", "reach", *names).orderBy(F.desc("rest"), F.desc("held"), "token")
+    past = [f"t{k}" for k in range(1, _BEFORE + 1)]
+    told = [F.lag("token", k).over(order).alias(f"t{k}") for k in range(1, _BEFORE + 1)]
+    one = probe.join(most, place).join(maps, "cid").select("*", *told).select(*place, "most", "lo", "hi", *[F.col(c).alias(f"a_{c}") for c in ("comp", "cid", "n", "held", "reach", *names, *past)])
+    two = index.join(most, place).join(maps, "cid").select("*", *told).select(*place, "most", *[F.col(c).alias(f"b_{c}") for c in ("comp", "cid", "n", "rest", "held", "reach", *names, *past)])
     share, both = 100 + config.percent, F.col("a_n") + F.col("b_n")
     differ = sum((F.bit_count(F.col(f"a_{c}").bitwiseXOR(F.col(f"b_{c}"))) for c in names), F.lit(0))
     fits = (F.col("a_comp") != F.col("b_comp")) & F.col("b_n").between(F.col("lo"), F.col("hi")) & (F.col("b_rest") * share >= config.percent * both)
     for x, y in ("ab", "ba"):
         fits = fits & ((F.col(f"{x}_reach") >= F.col(f"{y}_reach")) | (F.col(f"{x}_held") * share >= config.percent * both))
     fits = fits & (differ <= both - 2 * F.ceil(config.percent * both / float(share)))
+    for c in past:
+        fits = fits & ~F.coalesce(F.col(f"a_{c}").isin(*[F.col(f"b_{x}") for x in past]), F.lit(False))
     sides = (one, two.where("b_comp <> most")), (one.where("a_comp <> most"), two.where("b_comp = most"))
     pairs = [x.drop("most").join(y.drop("most"), place).where(fits) for x, y in sides]
-    return pairs[0].unionByName(pairs[1]).select(F.least("a_cid", "b_cid").alias("a"), F.greatest("a_cid", "b_cid").alias("b")).distinct()
+    return pairs[0].unionByName(pairs[1]).select(F.least("a_cid", "b_cid").alias("a"), F.greatest("a_cid", "b_cid").alias("b"))
 
 
 def _shared_prefixes(groups: DataFrame, frequent: Frequent, config: JoinConfig) -> DataFrame:
@@ -387,7 +399,7 @@ def ngram_components(docs: DataFrame, config: JoinConfig = JoinConfig()) -> Data
         classes.where("cid <> gid").select("gid", "n").distinct().select(F.xxhash64("gid", F.lit("group")).alias("token"), F.lit(0).alias("cell"), "gid", "n", F.col("n").alias("rest"), F.col("n").alias("held")))
     meetings = meetings.join(classes.select("gid", "cid"), "gid")
     for turn in range(config.rounds + 1):
-        held = meetings.join(settled, "cid").select("token", "cell", "comp", "cid", "n", "rest", "held")
+        held = meetings.join(settled, "cid").select("token", "cell", "comp", "gid", "cid", "n", "rest", "held")
         index, probe = _sides(held, config)
         across = materialize(_across(index, probe), "join-across")
         size = across.agg(F.sum("ways").alias("ways"), F.countDistinct("token").alias("tokens")).first()
@@ -405,7 +417,7 @@ def ngram_components(docs: DataFrame, config: JoinConfig = JoinConfig()) -> Data
     release(spark)
     # then all that lies across components
     if size["ways"]:
-        settled, _ = _merged(settled, *_verified(docs, reps, _cross_pairs(index, probe, across, reps, config), config, best=False))
+        settled, _ = _merged(settled, *_verified(docs, reps, _cross_pairs(index, probe, across, reps, config).distinct(), config, best=False))
     discard(shared, across)
     release(spark)
     # rows that share a doc_id are one document

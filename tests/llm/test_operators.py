@@ -112,6 +112,37 @@ def test_ngram_join_keeps_shingles_of_the_other_suffix(spark):
     assert sorted(tuple(r) for r in ngram_join.ngram_components(table(spark, texts, ids)).collect()) == want
 
 
+def joined_rows(spark, name):
+    """Rows that those joins of the last execution made whose condition has the name."""
+    spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+    store = spark._jsparkSession.sharedState().statusStore()
+    last = store.executionsList().last().executionId()
+    told, nodes = store.executionMetrics(last), store.planGraph(last).allNodes()
+    total = 0
+    for x in (nodes.apply(k) for k in range(nodes.size())):
+        if "Join" in x.name() and name in x.desc():
+            held = [x.metrics().apply(k) for k in range(x.metrics().size())]
+            total += sum(int(told.apply(m.accumulatorId()).replace(",", "")) for m in held if m.name() == "number of output rows" and told.contains(m.accumulatorId()))
+    return total
+
+
+def test_ngram_join_tells_a_pair_once(spark, monkeypatch):
+    base = [f"w{k}" for k in range(1500)]
+    # two texts 0.74 alike, with over a hundred common prefix shingles: no link, but near enough to be tried
+    other = [f"v{k}" if k % 33 == 0 else w for k, w in enumerate(base)]
+    texts = [" ".join(base), " ".join(other)]
+    whole, made = ngram_join._cross_pairs, []
+
+    def counted(*args):
+        out = whole(*args).distinct().collect()
+        made.append((joined_rows(spark, "a_comp"), len(out)))
+        return whole(*args)
+
+    monkeypatch.setattr(ngram_join, "_cross_pairs", counted)
+    got = {r.doc_id: r.component_id for r in ngram_join.ngram_components(table(spark, texts)).collect()}
+    assert got == {k: k for k in got} and made[0][1] == 1 and 1 <= made[0][0] <= 6
+
+
 def test_ngram_join_edges(spark):
     assert ngram_join.ngram_components(table(spark, [])).count() == 0
     got = ngram_join.ngram_components(table(spark, ["a b", "a b", None], [None, 3, None])).collect()
