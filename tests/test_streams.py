@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from layermul.matrix import SparseMatrix
 from layermul.plans.multiply import catalyst
 from layermul.streaming import stream
+from layermul.workloads import queries
 
 EVENTS = "/root/testdata/sf0.001/events.parquet"
 
@@ -53,3 +54,22 @@ def test_pairs_of_events(spark, folder):
     c, p = t.where("event_type = 'click'"), t.where("event_type = 'purchase'")
     want = c.alias("c").join(p.alias("p"), F.expr("c.user_id = p.user_id AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 10 MINUTES")).count()
     assert spark.table("pairs").count() == want
+
+
+@pytest.mark.parametrize("mode", ["complete", "append"])
+def test_stored_results_are_those_of_the_batch(spark, folder, mode):
+    at = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(at)
+    events = stream.event_stream(spark, folder)
+    got = stream.stored(stream.windowed_matrix(events) if mode == "complete" else stream.once_per_event(events, "400 days").select("event_id"), mode)
+    t = spark.read.parquet(EVENTS)
+    by_hour = t.groupBy(F.date_trunc("hour", F.col("ts").cast("timestamp")).cast("timestamp_ntz").alias("start"), F.col("user_id").alias("i"), "event_type").agg(F.count(F.lit(1)).alias("v"))
+    want = by_hour if mode == "complete" else t.select("event_id").distinct()
+    assert got.exceptAll(want).isEmpty() and got.count() == want.count() > 0
+    assert spark.conf.get(at) == before
+
+
+@pytest.mark.parametrize("name", ["dedupe"])
+def test_queries_leave_results_in_files(spark, name):
+    """Not in a table of the driver's memory."""
+    assert queries()[f"stream_{name}"](spark, "/root/testdata/sf0.001").inputFiles()
