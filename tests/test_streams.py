@@ -69,7 +69,7 @@ def test_stored_results_are_those_of_the_batch(spark, folder, mode):
     assert spark.conf.get(at) == before
 
 
-@pytest.mark.parametrize("name", ["dedupe", "session", "tumbling"])
+@pytest.mark.parametrize("name", ["dedupe", "session", "tumbling", "sliding"])
 def test_queries_leave_results_in_files(spark, name):
     """Not in a table of the driver's memory."""
     assert queries()[f"stream_{name}"](spark, "/root/testdata/sf0.001").inputFiles()
