@@ -263,3 +263,11 @@ def test_other_plans_and_permutations(spark):
     assert entries(permute_by(catalyst(permute_by(a, table), permute_by(a, table)), back)) == want
     assert entries(power(a, 0, SEMIRINGS["plus_times"])) == {(i, i): 1 for i in range(32)}
     assert GridConfig(64, 4, 2).grid == Grid(4, 4, 4)
+
+
+def test_large_operands_are_not_broadcast(spark, monkeypatch):
+    a = rmat(spark, "skewed", 5)
+    assert "BroadcastHashJoin" in catalyst(a, a, hint="broadcast").df._jdf.queryExecution().toString()
+    monkeypatch.setattr("layermul.plans.multiply.HINTED_ENTRIES", 10)
+    c = catalyst(a, a, hint="broadcast")
+    assert "Broadcast" not in c.df._jdf.queryExecution().toString() and entries(c) == entries(catalyst(a, a))
