@@ -265,6 +265,11 @@ def test_other_plans_and_permutations(spark):
     assert GridConfig(64, 4, 2).grid == Grid(4, 4, 4)
 
 
+def test_local_product_of_large_operands_is_whole(spark):
+    a = rmat(spark, "skewed", 5)
+    assert entries(local_sql(a, a, most=10, beyond="rows")) == entries(catalyst(a, a))
+
+
 def test_large_operands_are_not_broadcast(spark, monkeypatch):
     a = rmat(spark, "skewed", 5)
     assert "BroadcastHashJoin" in catalyst(a, a, hint="broadcast").df._jdf.queryExecution().toString()
