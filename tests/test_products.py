@@ -8,6 +8,7 @@ from hypothesis import HealthCheck, given, settings
 from hypothesis import strategies as st
 
 from layermul.matrix import AffinePermutation, SparseMatrix, digest_permutation, permute_by
+from layermul.functions.udfs import _fold_runs, user_semiring
 from layermul.operators import cost, kernels, layout, merge
 from layermul.operators.graph import power
 from layermul.plans import multiply as plans
@@ -276,3 +277,16 @@ def test_large_operands_are_not_broadcast(spark, monkeypatch):
     monkeypatch.setattr("layermul.plans.multiply.HINTED_ENTRIES", 10)
     c = catalyst(a, a, hint="broadcast")
     assert "Broadcast" not in c.df._jdf.queryExecution().toString() and entries(c) == entries(catalyst(a, a))
+
+
+def test_user_semiring_folds_entries_together(spark):
+    def never(x):
+        raise AssertionError("called for one entry")
+
+    a = rmat(spark, "skewed", 5)
+    assert entries(catalyst(a, a, user_semiring("user", never, lambda x, y: x * y, plus=lambda x, y: x + y))) == entries(catalyst(a, a))
+    for n in (0, 1, 2, 3, 7, 8, 9):
+        runs = [list(range(k + 1)) for k in range(n)]
+        flat = np.array([x for r in runs for x in r], np.int64)
+        got = _fold_runs(flat, np.array([len(r) for r in runs], np.int64), lambda x, y: np.maximum(x, y))
+        assert got.tolist() == [max(r) for r in runs]
