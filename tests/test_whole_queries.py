@@ -1,5 +1,6 @@
 """Registered queries return the whole result, against brute force on small tables."""
 
+import random
 import re
 from collections import Counter
 
@@ -77,3 +78,14 @@ def test_betweenness_is_of_the_whole_graph(spark):
                 want[x] += through[x]
     got = {r["i"]: r["v"] for r in queries()["betweenness"](spark, LITTLE).collect()}
     assert len(want) > 100 and all(abs(got.get(i, 0) - v) < 1e-6 for i, v in want.items()) and set(got) <= set(want)
+
+
+def test_vector_search_has_all_pairs_of_its_queries(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(datasets, "_QUERIES", 2)  # several passes
+    r = random.Random(5)
+    vectors = {i: [r.uniform(-1, 1) for _ in range(8)] for i in range(450)} | {7: None, 300: [0.9] * 8, 301: [0.9] * 8}
+    spark.createDataFrame(list(vectors.items()), "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    held = {k: [round(x * 1000) for x in v or []] for k, v in spark.read.parquet(f"{tmp_path}/embeddings.parquet").collect()}
+    product = {(i, j): sum(x * y for x, y in zip(held[i], held[j], strict=False)) for i in range(0, 450, 100) for j in held if i != j}
+    want = rows_of({c: v for c, v in product.items() if v > 300_000})
+    assert want and run(spark, "matrix_vec_sim", tmp_path) == want
