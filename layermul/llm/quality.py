@@ -4,34 +4,41 @@ Every word gives two tokens: its lower-cased form and its shape (runs of upper c
 digits, and each other byte). Tokens fall into a fixed number of buckets by hash. A bucket has a
 sparse random index vector; its context vector is the integer sum of the index vectors found beside
 it. A document is the weighted mean of the vectors of its tokens, with its length, the means'
-lengths and the share of words repeated at once. A network with one hidden layer, trained by Adam in numpy, scores it; a temperature fitted
-on rows kept back from training calibrates the probability.
+lengths and the share of words repeated at once. A network with one hidden layer scores it. Limited-memory
+BFGS fits it to all training rows: each evaluation of loss and gradient is one pass over the stored
+inputs. A temperature fitted on rows kept back from the network calibrates the probability.
 
-Labels come from at most `train_most` rows, chosen by the hash of their id; word vectors and rarity
-are fitted on the texts of the same bounded sample. No other row's label, and never lang, source or
-doc_id, enters a score.
+Nothing comes from a sample: word vectors and rarity are counted over all texts that are not held
+out, and every labelled row that is not held out is learnt from. No held-out text or label is read in
+training, and never lang, source or doc_id enters a score.
 
 Edge cases: null and empty texts have the zero vector and a score like any other text; without
 labels of both classes every score is the labels' smoothed rate; rows with a null id are scored and
 are not held out; repeated rows each get their own result row; an empty table gives an empty
-result; extra columns are ignored.
+result; extra columns are ignored. Every label of a doc_id counts for every document that has it.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.types import DoubleType, StructField, StructType
+from pyspark.sql.types import BinaryType, DoubleType, StructField, StructType
 
-from .scratch import bound_arrow, discard, materialize, release, table
+from .scratch import bound_arrow, counted, discard, release, table
 from .textscan import SPACED, find_words, hash_words, small_batches, text_bytes
 
 BUCKETS, WIDTH, WINDOW = 1 << 14, 48, 2
+#: Buckets of one row of sums; neighbours counted at once.
+_BLOCK, _PAIRS = 512, 1 << 22
+#: Inputs of a document: two means and their lengths, two shares of repeats, its length.
+INPUTS = 2 * (WIDTH + 1) + 3
+#: Training rows whose inputs the driver holds and passes over itself; more stay with the workers.
+LOCAL_ROWS = 10_000
 
 _SHAPE = np.arange(256, dtype=np.uint8)
 _SHAPE[65:91] = 65
@@ -42,24 +49,25 @@ _SHAPE[128:] = 97
 
 @dataclass(frozen=True)
 class QualityConfig:
-    """train_most: labelled rows that are read for training, the bound of the sample; accept: least
-    score that predicts 1; hidden, epochs, rate, decay, seed: of the network."""
+    """accept: least score that predicts 1; hidden, rounds (of BFGS), decay, seed: of the network."""
 
-    train_most: int = 6000
     accept: float = 0.3
     hidden: int = 24
-    epochs: int = 150
-    rate: float = 0.01
+    rounds: int = 60
     decay: float = 1e-4
     seed: int = 7
 
 
-def _index_vectors() -> np.ndarray:
-    """Ternary: per bucket six places of +1 or -1; equal in every process."""
+def _index_places() -> tuple[np.ndarray, np.ndarray]:
+    """Per bucket six places and their signs; equal in every process."""
     rng = np.random.Generator(np.random.PCG64(20260202))
+    return rng.integers(0, WIDTH, (2 * BUCKETS, 6)), rng.integers(0, 2, (2 * BUCKETS, 6)) * 2 - 1
+
+
+def _index_vectors() -> np.ndarray:
+    """Ternary: the sum of a bucket's places of +1 or -1."""
     out = np.zeros((2 * BUCKETS, WIDTH), np.int32)
-    places = rng.integers(0, WIDTH, (2 * BUCKETS, 6))
-    signs = rng.integers(0, 2, (2 * BUCKETS, 6)) * 2 - 1
+    places, signs = _index_places()
     np.add.at(out, (np.arange(2 * BUCKETS)[:, None], places), signs)
     return out
 
@@ -78,31 +86,64 @@ def _tokens(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return words, shapes.astype(np.int64) + BUCKETS, bounds
 
 
+def _add_pairs(total: np.ndarray, places: np.ndarray, signs: np.ndarray, keys: list[np.ndarray]) -> None:
+    """Adds to each token's row the index vectors of its neighbours; keys: first * BUCKETS + second, uint32."""
+    pairs, n = np.unique(np.concatenate(keys), return_counts=True)
+    first, second = (pairs // BUCKETS).astype(np.int64), (pairs % BUCKETS).astype(np.int64)
+    for own, other in ((first, second), (second, first)):
+        for k in range(places.shape[1]):
+            # sums of whole numbers below 2^53: exact
+            told = np.bincount(own * WIDTH + places[other, k], n * signs[other, k], total.size)
+            total += told.astype(np.int64).reshape(total.shape)
+
+
 def _contexts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """One row per partition: sums of neighbours' index vectors and token counts, as bytes."""
-    index = _index_vectors()
+    """Sums of neighbours' index vectors and token counts of the partition, a row per block of buckets."""
+    places, signs = _index_places()
     total, seen = np.zeros((2 * BUCKETS, WIDTH), np.int64), np.zeros(2 * BUCKETS, np.int64)
+    halves = [slice(0, BUCKETS), slice(BUCKETS, 2 * BUCKETS)]
+    keys: list[list[np.ndarray]] = [[], []]
     for batch in small_batches(batches, "text", 1 << 20):
-        for tokens, bounds in ((t, b) for w, s, b in [_tokens(batch.column(0))] for t, b in ((w, b), (s, b))):
-            seen += np.bincount(tokens, minlength=2 * BUCKETS)
-            owner = np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
+        words, shapes, bounds = _tokens(batch.column(0))
+        owner = np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
+        for half, tokens, held in zip(halves, (words, shapes - BUCKETS), keys, strict=True):
+            seen[half] += np.bincount(tokens, minlength=BUCKETS)
+            tokens = tokens.astype(np.uint32)
             for step in range(1, WINDOW + 1):
                 same = owner[step:] == owner[:-step]
-                a, b = tokens[:-step][same], tokens[step:][same]
-                # many equal pairs: count them first
-                pairs, n = np.unique(np.concatenate([a * (2 * BUCKETS) + b, b * (2 * BUCKETS) + a]), return_counts=True)
-                np.add.at(total, pairs // (2 * BUCKETS), index[pairs % (2 * BUCKETS)] * n[:, None])
-    if seen.any():
-        yield pa.RecordBatch.from_arrays([pa.array([total.astype(np.int32).tobytes()], pa.binary()), pa.array([seen.tobytes()], pa.binary())], ["total", "seen"])
+                held.append(tokens[:-step][same] * np.uint32(BUCKETS) + tokens[step:][same])
+            if sum(map(len, held)) >= _PAIRS:
+                _add_pairs(total[half], places[half], signs[half], held)
+                held.clear()
+    for half, held in zip(halves, keys, strict=True):
+        if held:
+            _add_pairs(total[half], places[half], signs[half], held)
+    yield from _blocks({b: np.column_stack([seen[b : b + _BLOCK], total[b : b + _BLOCK]]) for b in range(0, 2 * BUCKETS, _BLOCK) if seen[b : b + _BLOCK].any()})
+
+
+def _blocks(sums: dict[int, np.ndarray]) -> Iterator[pa.RecordBatch]:
+    for b, v in sums.items():
+        yield pa.RecordBatch.from_arrays([pa.array([b], pa.int32()), pa.array([v.tobytes()], pa.binary())], ["block", "sums"])
+
+
+def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    out: dict[int, np.ndarray] = {}
+    for batch in batches:
+        for b, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            v = np.frombuffer(v, np.int64).reshape(_BLOCK, 1 + WIDTH)
+            out[b] = out[b] + v if b in out else v
+    yield from _blocks(out)
 
 
 def word_vectors(texts: DataFrame) -> np.ndarray:
-    """float32 vectors of all buckets, weighted by rarity, from a bounded table of texts."""
-    rows = texts.select("text").coalesce(4).mapInArrow(_contexts, "total binary, seen binary").collect()  # 4 rows at most
-    total, seen = np.zeros((2 * BUCKETS, WIDTH), np.int64), np.zeros(2 * BUCKETS, np.int64)
-    for r in rows:
-        total += np.frombuffer(r["total"], np.int32).reshape(total.shape)
-        seen += np.frombuffer(r["seen"], np.int64)
+    """float32 vectors of all buckets, weighted by rarity, from a whole table of texts. As many tasks as
+    cores count them; sums by block of buckets meet in a shuffle, and one row a block on the driver."""
+    cores = texts.sparkSession.sparkContext.defaultParallelism
+    parts = texts.select("text").coalesce(cores).mapInArrow(_contexts, "block int, sums binary")
+    sums = np.zeros((2 * BUCKETS, 1 + WIDTH), np.int64)
+    for r in parts.repartition(min(cores, 2 * BUCKETS // _BLOCK), "block").mapInArrow(_summed, "block int, sums binary").collect():  # 64 rows at most
+        sums[r["block"] : r["block"] + _BLOCK] += np.frombuffer(r["sums"], np.int64).reshape(_BLOCK, 1 + WIDTH)
+    seen, total = sums[:, 0], sums[:, 1:]
     own = _index_vectors() / np.sqrt(6.0)
     context = total / np.maximum(np.linalg.norm(total, axis=1, keepdims=True), 1.0)
     vectors = np.concatenate([own[:, : WIDTH // 2], context[:, WIDTH // 2 :]], axis=1)
@@ -129,47 +170,145 @@ def _pooled(column: pa.Array, vectors: np.ndarray) -> np.ndarray:
     return np.concatenate([*parts, np.log1p(counts)[:, None]], axis=1).astype(np.float64)
 
 
+def _minimise(evaluate: Callable[[np.ndarray], tuple[float, np.ndarray]], w: np.ndarray, rounds: int, memory: int = 12) -> np.ndarray:
+    """Limited-memory BFGS with a backtracking search; evaluate gives loss and gradient."""
+    loss, grad = evaluate(w)
+    moves: list[tuple[np.ndarray, np.ndarray]] = []
+    for _ in range(rounds):
+        if np.abs(grad).max() < 1e-5:
+            break
+        down, parts = -grad, []
+        for s, y in reversed(moves):
+            parts.append(s @ down / (s @ y))
+            down = down - parts[-1] * y
+        down = down * (moves[-1][0] @ moves[-1][1] / (moves[-1][1] @ moves[-1][1]) if moves else 1 / np.linalg.norm(grad))
+        for (s, y), part in zip(moves, reversed(parts), strict=True):
+            down = down + (part - y @ down / (s @ y)) * s
+        step, slope = 1.0, grad @ down
+        for _ in range(12):
+            there = evaluate(w + step * down)
+            if there[0] <= loss + 1e-4 * step * slope:
+                break
+            step /= 2
+        else:
+            break
+        move = step * down, there[1] - grad
+        if move[0] @ move[1] > 1e-12:
+            moves = [*moves[1 - memory :], move]
+        gain, w, (loss, grad) = loss - there[0], w + move[0], there
+        if gain < 1e-6 * abs(loss):
+            break
+    return w
+
+
+def _shaped(w: np.ndarray, hidden: int) -> list[np.ndarray]:
+    a, b = INPUTS * hidden, (INPUTS + 1) * hidden
+    return [w[:a].reshape(INPUTS, hidden), w[a:b], w[b : b + hidden], w[b + hidden :]]
+
+
+#: Rows of inputs: x (float64), n0 and n1 (labels of each class), kept (from the network, for the temperature).
+Rows = tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]
+
+
+def _moments(rows: Rows) -> np.ndarray:
+    x, n0, n1, kept = rows
+    n = n0 + n1
+    return np.concatenate([[n0.sum(), n1.sum(), n0[~kept].sum(), n1[~kept].sum()], n @ x, n @ (x * x)])
+
+
+def _logits(x: np.ndarray, layers: list[np.ndarray]) -> np.ndarray:
+    return np.tanh(x @ layers[0] + layers[1]) @ layers[2] + layers[3]
+
+
+def _gradient(rows: Rows, mean: np.ndarray, scale: np.ndarray, w: np.ndarray, hidden: int) -> np.ndarray:
+    """Summed loss and gradient of the rows that are not kept back."""
+    x, n0, n1, kept = rows
+    x, n0, n1 = (x[~kept] - mean) / scale, n0[~kept], n1[~kept]
+    layers = _shaped(w, hidden)
+    h = np.tanh(x @ layers[0] + layers[1])
+    logits = h @ layers[2] + layers[3]
+    error = (n0 + n1) / (1 + np.exp(-np.clip(logits, -30, 30))) - n1
+    back = error[:, None] * layers[2] * (1 - h * h)
+    loss = n0 @ np.logaddexp(0, logits) + n1 @ np.logaddexp(0, -logits)
+    return np.concatenate([[loss], (x.T @ back).ravel(), back.sum(axis=0), h.T @ error, [error.sum()]])
+
+
+_TEMPERATURES = np.geomspace(0.5, 8, 60)
+
+
+def _tempered(rows: Rows, mean: np.ndarray, scale: np.ndarray, w: np.ndarray, hidden: int) -> np.ndarray:
+    """Loss of the rows kept back at each temperature."""
+    x, n0, n1, kept = rows
+    logits = _logits((x[kept] - mean) / scale, _shaped(w, hidden))
+    return np.array([n0[kept] @ np.logaddexp(0, logits / t) + n1[kept] @ np.logaddexp(0, -logits / t) for t in _TEMPERATURES])
+
+
+class TrainingRows:
+    """A table (x, n0, n1, kept) over which sums are taken: where it lies, or for few rows on the driver."""
+
+    def __init__(self, table: DataFrame, n: int):
+        self.table, self.n, self.local = table, n, None
+        if n <= LOCAL_ROWS:
+            found = table.toArrow().combine_chunks()  # LOCAL_ROWS at most
+            x, *rest = _rows_of(found)
+            order = np.lexsort((rest[1], rest[0], *x.T))
+            self.local = x[order], *(v[order] for v in rest)
+
+    def sum(self, measure: Callable[..., np.ndarray], *args) -> np.ndarray:
+        if self.local is not None:
+            return measure(self.local, *args)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            total = None
+            for batch in batches:
+                if batch.num_rows:
+                    part = measure(_rows_of(batch), *args)
+                    total = part if total is None else total + part
+            if total is not None:
+                yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], ["sums"])
+
+        parts = [np.frombuffer(r["sums"]) for r in self.table.mapInArrow(run, "sums binary").collect()]  # one a task
+        return np.sum(sorted(parts, key=bytes), axis=0)
+
+
+def _rows_of(batch: pa.RecordBatch | pa.Table) -> Rows:
+    data = batch.column(0)
+    raw, _ = text_bytes(data)
+    n0, n1, kept = (batch.column(c).to_numpy(zero_copy_only=False) if isinstance(batch, pa.RecordBatch) else batch.column(c).to_numpy() for c in (1, 2, 3))
+    return raw.view(np.float32).reshape(-1, INPUTS).astype(np.float64), n0.astype(np.float64), n1.astype(np.float64), kept.astype(bool)
+
+
 class QualityModel:
     """Standardised inputs, one hidden tanh layer, a logit and its temperature."""
 
-    def __init__(self, vectors: np.ndarray, x: np.ndarray, y: np.ndarray, config: QualityConfig):
-        self.vectors, self.rate = vectors, (y.sum() + 1.0) / (len(y) + 2.0)
-        self.layers = None
-        if len(np.unique(y)) == 2:
-            self._fit(x, y.astype(np.float64), config)
-
-    def _fit(self, x: np.ndarray, y: np.ndarray, c: QualityConfig) -> None:
+    def __init__(self, vectors: np.ndarray, rows: TrainingRows, config: QualityConfig):
+        self.vectors, self.layers, self.rate = vectors, None, 0.5
+        if rows.n:
+            told = rows.sum(_moments)
+            n0, n1, used0, used1 = told[:4]
+            self.rate = float((n1 + 1) / (n0 + n1 + 2))
+            if n0 and n1 and used0 + used1:
+                self.mean = told[4 : 4 + INPUTS] / (n0 + n1)
+                self.scale = np.sqrt(np.maximum(told[4 + INPUTS :] / (n0 + n1) - self.mean**2, 0)) + 1e-6
+                self._fit(rows, used0 + used1, n0 + n1 > used0 + used1, config)
+
+    def _fit(self, rows: TrainingRows, used: float, kept: bool, c: QualityConfig) -> None:
         rng = np.random.Generator(np.random.PCG64(c.seed))
-        self.mean, self.scale = x.mean(axis=0), x.std(axis=0) + 1e-6
-        x = (x - self.mean) / self.scale
-        order = rng.permutation(len(y))
-        kept, used = order[: len(y) // 5], order[len(y) // 5 :]
-        w = [rng.normal(0, 1 / np.sqrt(x.shape[1]), (x.shape[1], c.hidden)), np.zeros(c.hidden), rng.normal(0, 1 / np.sqrt(c.hidden), c.hidden), np.zeros(1)]
-        first, second, step = [np.zeros_like(v) for v in w], [np.zeros_like(v) for v in w], 0
-        for _ in range(c.epochs):
-            for part in np.array_split(rng.permutation(used), max(1, len(used) // 256)):
-                h = np.tanh(x[part] @ w[0] + w[1])
-                error = (1 / (1 + np.exp(-np.clip(h @ w[2] + w[3], -30, 30))) - y[part]) / len(part)
-                back = error[:, None] * w[2] * (1 - h * h)
-                grads = [x[part].T @ back + c.decay * w[0], back.sum(axis=0), h.T @ error + c.decay * w[2], error.sum(keepdims=True)]
-                step += 1
-                for v, g, m, s in zip(w, grads, first, second, strict=True):
-                    m += 0.1 * (g - m)
-                    s += 0.001 * (g * g - s)
-                    v -= c.rate * (m / (1 - 0.9**step)) / (np.sqrt(s / (1 - 0.999**step)) + 1e-8)
-        self.layers = w
-        logits, truth = self._logits(x[kept]), y[kept]
-        grid = np.geomspace(0.5, 8, 60)
-        loss = [np.mean(np.logaddexp(0, -(2 * truth - 1) * logits / t)) for t in grid] if len(kept) else [0] * 60
-        self.temperature = float(grid[int(np.argmin(loss))]) if len(kept) else 1.0
-
-    def _logits(self, x: np.ndarray) -> np.ndarray:
-        return np.tanh(x @ self.layers[0] + self.layers[1]) @ self.layers[2] + self.layers[3]
+        w = [rng.normal(0, 1 / np.sqrt(INPUTS), INPUTS * c.hidden), np.zeros(c.hidden), rng.normal(0, 1 / np.sqrt(c.hidden), c.hidden), np.zeros(1)]
+        decay = np.concatenate([np.full(len(v), c.decay * (n in (0, 2))) for n, v in enumerate(w)])
+
+        def evaluate(at: np.ndarray) -> tuple[float, np.ndarray]:
+            told = rows.sum(_gradient, self.mean, self.scale, at, c.hidden) / used
+            return float(told[0] + decay @ (at * at) / 2), told[1:] + decay * at
+
+        w = _minimise(evaluate, np.concatenate(w), c.rounds)
+        self.temperature = float(_TEMPERATURES[int(np.argmin(rows.sum(_tempered, self.mean, self.scale, w, c.hidden)))]) if kept else 1.0
+        self.layers = _shaped(w, c.hidden)
 
     def score(self, column: pa.Array) -> np.ndarray:
         if self.layers is None:
             return np.full(len(column), self.rate)
-        logits = self._logits((_pooled(column, self.vectors) - self.mean) / self.scale)
+        logits = _logits((_pooled(column, self.vectors) - self.mean) / self.scale, self.layers)
         return 1 / (1 + np.exp(-np.clip(logits / self.temperature, -500, 500)))
 
 
@@ -180,8 +319,9 @@ def held_out(doc_id: Column) -> Column:
 def _features(vectors: np.ndarray):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in small_batches(batches, "text", 1 << 20):
-            x = _pooled(batch.column(1), vectors)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([r.tobytes() for r in x], pa.binary())], ["quality", "x"])
+            x = _pooled(batch.column(1), vectors).astype(np.float32)
+            ends = pa.py_buffer(np.arange(len(x) + 1, dtype=np.int32) * (4 * INPUTS))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.Array.from_buffers(pa.binary(), len(x), [None, ends, pa.py_buffer(x)])], ["doc_id", "x"])
 
     return run
 
@@ -189,19 +329,20 @@ def _features(vectors: np.ndarray):
 def train(docs: DataFrame, labels: DataFrame, config: QualityConfig = QualityConfig()) -> QualityModel:
     """docs: doc_id, text; labels: doc_id, quality. Held-out rows are never read."""
     bound_arrow(docs.sparkSession)
-    chosen = labels.where(F.col("quality").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id", F.col("quality").cast("int").alias("quality"))
-    chosen = chosen.orderBy(F.xxhash64("doc_id"), "doc_id", "quality").limit(config.train_most)  # bounded, so it may be broadcast
-    chosen = materialize(chosen, "quality-labels")
-    # of documents that share a doc_id the least text stands for it: no more rows than labels
-    texts = docs.select("doc_id", "text").join(F.broadcast(chosen.select("doc_id").distinct()), "doc_id", "left_semi").groupBy("doc_id").agg(F.min(F.coalesce("text", F.lit(""))).alias("text"))
-    sample = materialize(texts.join(F.broadcast(chosen), "doc_id").select("quality", "text"), "quality-sample")
-    vectors = word_vectors(sample)
-    rows = sample.select("quality", "text").mapInArrow(_features(vectors), "quality int, x binary").toArrow()  # train_most at most
-    rows = sorted(zip(rows.column("x").to_pylist(), rows.column("quality").to_pylist(), strict=True))
-    x = np.array([np.frombuffer(b, np.float64) for b, _ in rows])
-    discard(chosen, sample)
+    seen = docs.select("doc_id", "text").where(~held_out(F.col("doc_id")))
+    vectors = word_vectors(seen)
+    labels = labels.where(F.col("quality").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
+    one = F.col("quality").cast("int") == 1
+    # counts of labels and not the labels are joined: no more rows than documents
+    labels = labels.groupBy("doc_id").agg(F.count_if(~one).alias("n0"), F.count_if(one).alias("n1"))
+    # narrow inputs are shuffled, not texts
+    inputs = seen.where(F.col("doc_id").isNotNull()).mapInArrow(_features(vectors), StructType([seen.schema["doc_id"], StructField("x", BinaryType())]))
+    rows = inputs.join(labels, "doc_id").select("x", "n0", "n1", (F.pmod(F.xxhash64("doc_id"), F.lit(5)) == 0).alias("kept"))
+    rows, n = counted(rows, "quality-rows")
+    model = QualityModel(vectors, TrainingRows(rows, n), config)
+    discard(rows)
     release(docs.sparkSession)
-    return QualityModel(vectors, x, np.array([q for _, q in rows]), config)
+    return model
 
 
 def with_score(docs: DataFrame, model: QualityModel, name: str = "score") -> DataFrame:

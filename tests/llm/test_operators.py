@@ -4,6 +4,7 @@ empty tables and clashing column names."""
 import hashlib
 import random
 import re
+import zlib
 
 import numpy as np
 import pyarrow as pa
@@ -425,6 +426,47 @@ def test_quality(spark):
     assert quality.with_score(docs, quality.train(docs, labels.limit(0))).first()["score"] == 0.5
 
 
+def test_quality_counts_every_text_and_label(spark, monkeypatch):
+    n = 7600
+    texts = [f"{'Fine' if k % 3 else 'BAD'} word{k % 50} x{k} word{k % 50}" for k in range(n)]
+    docs = table(spark, texts)
+    labels = spark.createDataFrame([(k, int(k % 3 > 0)) for k in range(n)] + [(7, 1)], "doc_id long, quality int")
+    used = [k for k in [*range(n), 7] if zlib.crc32(str(k).encode()) % 5]
+    assert len(used) > 6000
+    model = quality.train(docs, labels)
+    assert model.rate == (sum(k % 3 > 0 for k in used) + 1) / (len(used) + 2)
+    scores = [r["score"] for r in quality.with_score(docs, model).orderBy("doc_id").collect()]
+    assert np.mean([(x >= 0.3) == (k % 3 > 0) for k, x in enumerate(scores)]) > 0.99
+    monkeypatch.setattr(quality, "LOCAL_ROWS", 0)  # the same sums, taken where the rows lie
+    assert np.allclose([r["score"] for r in quality.with_score(docs, quality.train(docs, labels)).orderBy("doc_id").collect()], scores, atol=1e-4)
+
+
+def test_quality_word_vectors_sum_all_neighbours(spark, monkeypatch):
+    texts = [prose(30, s) for s in range(40)] + ODD
+    monkeypatch.setattr(quality, "_PAIRS", 100)
+    index, total, seen = quality._index_vectors(), np.zeros((2 * quality.BUCKETS, quality.WIDTH)), np.zeros(2 * quality.BUCKETS, int)
+    for text in texts:
+        words, shapes, _ = quality._tokens(pa.array([text], pa.string()))
+        for tokens in (words, shapes):
+            for i, a in enumerate(tokens):
+                seen[a] += 1
+                for b in [*tokens[max(0, i - 2) : i], *tokens[i + 1 : i + 3]]:
+                    total[a] += index[b]
+    for most in (100, 1 << 22):
+        monkeypatch.setattr(quality, "_PAIRS", most)
+        got = np.zeros((2 * quality.BUCKETS, 1 + quality.WIDTH))
+        for batch in quality._contexts(iter([pa.RecordBatch.from_arrays([pa.array(texts, pa.string())], ["text"])])):
+            got[batch.column(0)[0].as_py() :][: quality._BLOCK] = np.frombuffer(batch.column(1)[0].as_py(), np.int64).reshape(quality._BLOCK, -1)
+        assert (got[:, 0] == seen).all() and (got[:, 1:] == total).all()
+    # a text without a label counts as well, one that is held out does not
+    labels = spark.createDataFrame([(k, k % 2) for k in range(20)], "doc_id long, quality int")
+    held = next(k for k in range(20, 40) if zlib.crc32(str(k).encode()) % 5 == 0)
+    free = next(k for k in range(20, 40) if zlib.crc32(str(k).encode()) % 5)
+    whole = quality.train(table(spark, texts), labels).vectors
+    changed = lambda k: quality.train(table(spark, [*texts[:k], "quite other words here", *texts[k + 1 :]]), labels).vectors
+    assert (changed(held) == whole).all() and (changed(free) != whole).any()
+
+
 # --- 10: fingerprints ---
 
 
