@@ -5,10 +5,15 @@ import re
 from collections import Counter
 
 import duckdb
+import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
+from layermul.matrix import SparseMatrix
+from layermul.operators import folded
+from layermul.plans.multiply import multiply
 from layermul.sources import datasets
-from layermul.workloads import oracle_sql, queries
+from layermul.workloads import checksum, oracle_sql, queries
 
 LITTLE = "/root/testdata/sf0.001"
 
@@ -37,6 +42,68 @@ def test_words_of_many_documents_stay_in_the_product(spark, tmp_path):
     assert run(spark, "mm_doc_token_whole", tmp_path) == rows_of({c: v for c, v in product.items() if v})
 
 
+def test_rows_folded_in_their_cells(spark, monkeypatch):
+    r = random.Random(3)
+    cells = lambda n, m, most: {(r.randrange(n), r.randrange(m) if r.random() < 0.7 else 0): r.randint(1, most) for _ in range(900)}
+    monkeypatch.setattr(folded, "BLOCK_ENTRIES", 150)
+    for most, at in ((3, 400), (10**5, 0), (10**8, 10**9)):  # exact in 24 bits, in 53, in neither; both ways, scattered, dense
+        a, b = cells(70, 200, most), cells(200, 90, most)
+        product = Counter()
+        for (i, k), v in a.items():
+            for j in range(90):
+                product[i, j] += v * b.get((k, j), 0)
+        product = rows_of({c: v for c, v in product.items() if v})
+        if most == 3:
+            one, two = (SparseMatrix.rows_of(spark, [(i, j, v) for (i, j), v in m.items()], n, k) for m, n, k in ((a, 70, 200), (b, 200, 90)))
+            assert {x[0]: tuple(x[1:]) for x in folded.folded_rows(one, two).collect()} == product
+        monkeypatch.setattr(folded, "SCATTERED", at)
+        for tile, at_once in ((1 << 24, 1 << 21), (200, 50), (1, 1)):
+            monkeypatch.setattr(folded, "TILE", tile)
+            monkeypatch.setattr(folded, "AT_ONCE", at_once)
+            left, right = block_of([(i, k, v) for (i, k), v in a.items()]), block_of([(j, k, v) for (k, j), v in b.items()])
+            got = [x for batch in folded._folds(left, right, 97) for x in zip(*(c.to_pylist() for c in batch.columns), strict=True)]
+            assert {x[0]: x[1:] for x in got} == product and len(got) == len(product)
+    with pytest.raises(ValueError, match="positive"):
+        block_of([(1, 1, 0)])
+
+
+def block_of(entries):
+    """A block of entries (i, k, v), each a list of its own."""
+    i, k, v = (list(x) for x in zip(*entries, strict=True))
+    rows = pa.table({"i": pa.array(i, pa.int64()), "ks": pa.array([[x] for x in k], pa.list_(pa.int64())), "vs": pa.array([[x] for x in v], pa.list_(pa.int64()))})
+    return folded._Block.of(*(c[0].as_py() for c in folded._packed((pa.scalar(0, pa.int32()),), rows).columns[1:]))
+
+
+def test_mirrored_cells_of_a_square_product(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(folded, "BLOCK_ENTRIES", 20)
+    r = random.Random(4)
+    spark.createDataFrame([(r.choice([k, k, None]), " ".join(r.choice("abcdefgh") * r.randint(1, 3) for _ in range(9))) for k in range(60)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    m = datasets.doc_token(spark, str(tmp_path))
+    assert run(spark, "mm_doc_token_whole", tmp_path) == {x[0]: tuple(x[1:]) for x in checksum(multiply(m, m.t, plan="catalyst")).collect()}
+
+
+def test_document_product_keeps_no_entries(spark):
+    plan = queries()["mm_doc_token_whole"](spark, LITTLE)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Aggregate [i#" in plan and ", j#" not in plan  # sums of rows leave the cells, entries don't
+    assert run(spark, "mm_doc_token_whole", LITTLE) == {x[0]: x[1:] for x in duckdb_rows("mm_doc_token_whole", LITTLE)}
+
+
+def test_document_product_on_odd_rows(spark, tmp_path, monkeypatch):
+    rows = [(None, "a b b"), (3, "b c"), (3, "b d"), (4, None), (5, ""), (None, "d"), (6, "Zz\u212a zz"), (100, "A, a; e")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    m = datasets.doc_token(spark, str(tmp_path))
+    want = {r[0]: tuple(r[1:]) for r in checksum(multiply(m, m.t, plan="catalyst")).collect()}
+    assert len(want) == 4 and run(spark, "mm_doc_token_whole", tmp_path) == want
+    monkeypatch.setattr(datasets.F, "xxhash64", lambda *c: F.lit(7).cast("bigint"))  # all words clash
+    assert run(spark, "mm_doc_token_whole", tmp_path) == want
+
+
+def duckdb_rows(name, at):
+    with duckdb.connect() as db:
+        db.execute(f"CREATE VIEW documents AS SELECT * FROM '{at}/documents.parquet'")
+        return db.execute(oracle_sql()[name]).fetchall()
+
+
 def test_rectangular_product_has_all_rows(spark):
     cust = {}
     orders = {r["o_orderkey"]: r["o_custkey"] for r in spark.read.parquet(f"{LITTLE}/orders.parquet").select("o_orderkey", "o_custkey").collect()}
