@@ -67,6 +67,42 @@ def test_rows_folded_in_their_cells(spark, monkeypatch):
         block_of([(1, 1, 0)])
 
 
+def test_groups_of_alike_rows_in_a_block(spark, monkeypatch):
+    """Two kinds of rows fall apart, and products by dense rows, by spans and one by one are those of all rows."""
+    r = random.Random(6)
+    for name, value in (("GROUPS", 3), ("GROUP_ROWS", 8), ("SCATTERED", 3)):
+        monkeypatch.setattr(folded, name, value)
+    for most in (2, 10**5, 10**8):  # in 24 bits, in 53, in neither
+        a, b = ({(i if i < n - 1 else None, r.randrange(40) + 40 * (i % 2) if r.random() < 0.8 else r.randrange(80, 300)): r.randint(1, most) for i in range(n) for _ in range(12)} for n in (60, 45))
+        twice = [(i, k, v) for (i, k), v in a.items()] + [(0, 5, 1), (0, 5, 1)]
+        left, right = block_of(twice), block_of([(j, k, v) for (j, k), v in b.items()])
+        kinds = [set(left.ids[lo:hi][left.known[lo:hi]] % 2) for lo, hi in zip(left.groups, left.groups[1:], strict=False)]
+        assert len(left.ids) == 60 and len(kinds) == 3 and any(len(k) == 1 for k in kinds)
+        product = Counter()
+        for i, k, v in twice:
+            for j in {j for j, _ in b}:
+                product[i, j] += v * b.get((j, k), 0)
+        want = {}
+        for turn in (lambda i, j: (i, j)), (lambda i, j: (j, i)):
+            for (i, j), v in product.items():
+                i, j = turn(i, j)
+                n, total, mix = want.get((turn(0, 1), i), (0, 0, None))
+                want[turn(0, 1), i] = (n + (v > 0), total + v, mix if j is None or not v else (mix or 0) + v * (j % 97))
+        for tile, at_once, step in ((1 << 22, 1 << 21, 1 << 17), (100, 7, 50), (1, 1, 1)):
+            for k, v in (("TILE", tile), ("AT_ONCE", at_once), ("SLICE", step)):
+                monkeypatch.setattr(folded, k, v)
+            for listed in (1, 3, 10**6):
+                monkeypatch.setattr(folded, "LISTED", listed)
+                batches = [[x for x in zip(*(c.to_pylist() for c in batch.columns), strict=True)] for batch in folded._folds(left, right, 97, True)]
+                assert {((0, 1), x[0]): x[1:] for rows in batches[:-1] for x in rows} | {((1, 0), x[0]): x[1:] for x in batches[-1]} == {k: v for k, v in want.items() if v[0]}
+
+
+def test_every_block_has_its_own_file(spark, monkeypatch):
+    monkeypatch.setattr(folded, "BLOCK_ENTRIES", 30)
+    blocks = folded._blocks(spark.range(90).selectExpr("id AS i", "array(id, id + 1) AS ks", "array(1L, 2L) AS vs"), 180, "test")
+    assert blocks.count() == len({f for f, in blocks.select(F.input_file_name()).collect()}) == 6
+
+
 def block_of(entries):
     """A block of entries (i, k, v), each a list of its own."""
     i, k, v = (list(x) for x in zip(*entries, strict=True))
